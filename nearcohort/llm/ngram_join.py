@@ -13,11 +13,12 @@ merge and only probed for texts that the merge brought up.
 3. The short lists are the postings ``(shingle, class)``.  Lists of one class are dropped.
 4. Leaders: in every list each class meets the least class of its length band and of the
    next band.  That is linear in the postings, also for a group of thousands of near copies.
-5. The kernel ``TOccurrence`` heap-merges the short lists of the query, probes the long ones
+5. Pairs that occur too rarely on the short lists to reach the overlap are dropped.
+6. The kernel ``TOccurrence`` heap-merges the short lists of the query, probes the long ones
    by binary search and keeps the classes that reach the overlap that their sizes require.
-6. Components; then the *rest*: classes that share a list but are still in different
+7. Components; then the *rest*: classes that share a list but are still in different
    components are all compared, so no link between different components is lost.
-7. Components again.
+8. Components again.
 """
 
 from __future__ import annotations
@@ -190,8 +191,23 @@ def _verify(batches, pct):
     yield batch(flush())
 
 
-def _linked(pairs: DataFrame, docs: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame:
+def _promising(pairs: DataFrame, lists: DataFrame, pct: int) -> DataFrame:
+    """Pairs whose count on the short lists leaves a chance to reach the overlap.
+
+    What two sets share outside both short parts is less than the greater ``need``, so a
+    pair that links must occur ``overlap - greatest(need) + 1`` times on the short lists.
+    """
+    side = [lists.select(F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("hs").alias(f"hs_{x}")) for x in "ab"]
+    return (pairs.join(side[0], "a").join(side[1], "b")
+            .where(F.size(F.array_intersect("hs_a", "hs_b")) >=
+                   F.ceil(F.lit(pct) * (F.col("n_a") + F.col("n_b")) / F.lit(100 + pct) - 1e-9)
+                   - F.ceil(F.lit(pct) * F.greatest("n_a", "n_b") / F.lit(100) - 1e-9) + 1)
+            .select("a", "b"))
+
+
+def _linked(pairs: DataFrame, lists: DataFrame, docs: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame:
     """Those of ``pairs`` (a, b) that link, with their overlap."""
+    pairs = work.save(_promising(pairs, lists, pct), "promising")
     ids = work.save(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "wanted")
     wanted = docs.select("doc_id", "text").join(small(ids, ids.count()), "doc_id", "left_semi")
     sets = work.save(wanted.mapInArrow(lambda it: _sets(it, k), "doc_id long, grams binary"), "sets")
@@ -231,6 +247,8 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / pct)) + 1e-9)
     live = work.save(posts.join(shared, "h").withColumn("band", band), "short-lists")
 
+    # the shared short lists of a class: never more than its own short part
+    lists = live.groupBy("c").agg(F.first("n").alias("n"), F.collect_set("h").alias("hs"))
     fits = f"100 * least(n_a, n_b) >= {pct} * greatest(n_a, n_b)"
     lead = live.groupBy("h", "band").agg(F.min(F.struct("c", "n")).alias("l"))
     lead = lead.select("h", F.explode(F.array("band", F.col("band") - 1)).alias("band"),
@@ -239,7 +257,7 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
         live.select("h", "band", F.col("c").alias("a"), F.col("n").alias("n_a")).join(lead, ["h", "band"])
         .where("a <> b").where(fits)
         .select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "leader-pairs")
-    links = _linked(first, docs, work, k, pct)
+    links = _linked(first, lists, docs, work, k, pct)
     comp = work.save(components(links, src="a", dst="b", work=work), "components-1")
 
     placed = (live.join(comp.withColumnRenamed("id", "c"), "c", "left")
@@ -251,7 +269,7 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
     rest = work.save(
         sides[0].join(sides[1], "h").where("a > b and comp_a <> comp_b and abs(band_a - band_b) <= 1")
         .where(fits).select("a", "b").distinct().join(first, ["a", "b"], "left_anti"), "rest-pairs")
-    more = _linked(rest, docs, work, k, pct)
+    more = _linked(rest, lists, docs, work, k, pct)
     comp = components(links.unionByName(more), src="a", dst="b", work=work)
     return (member.join(comp.withColumnRenamed("id", "class_id"), "class_id", "left")
             .select("doc_id", F.col("n").alias("n_shingles"),
