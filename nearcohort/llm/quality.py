@@ -26,13 +26,13 @@ THRESHOLD = 0.3
 
 _KINDS = ("lower", "upper", "digit", "space", "newline", "bang", "decor", "pipe", "stop", "high", "other")
 FEATURES = ("log_bytes", "log_words", *(f"{k}_share" for k in _KINDS), "mean_word", "distinct_words",
-            "distinct_lines", "mean_line")
+            "word_richness", "distinct_lines", "mean_line")
 
 
 def _kind_table() -> np.ndarray:
     t = np.full(256, _KINDS.index("other"), np.int64)
     for kind, chars in {"lower": range(97, 123), "upper": range(65, 91), "digit": range(48, 58),
-                        "space": b" \t\r\v\f", "newline": b"\n", "bang": b"!?", "decor": b"*#$%&@~^_=+",
+                        "space": b" \t\r\v\f", "newline": b"\n", "bang": b"!?", "decor": b"*#$%&~^",
                         "pipe": b"|\\/<>[]{}", "stop": b".,;:'\"()-", "high": range(128, 256)}.items():
         t[list(chars)] = _KINDS.index(kind)
     return t
@@ -73,9 +73,12 @@ def block_statistics(off: np.ndarray, data: np.ndarray) -> np.ndarray:
     else:
         n_lines = d_lines = np.zeros(n)
     one = np.maximum
+    kinds = _distinct(who, h, n)
+    # log(distinct) / log(words) hardly depends on the length of the text
+    richness = np.where(n_words > 1, np.log(one(kinds, 1)) / np.log(one(n_words, 2)), 1.0)
     return np.column_stack([
         np.log1p(size), np.log1p(n_words), counts / one(size, 1)[:, None], letters / one(n_words, 1),
-        _distinct(who, h, n) / one(n_words, 1), d_lines / one(n_lines, 1), np.log1p(n_words / one(n_lines, 1)),
+        kinds / one(n_words, 1), richness, d_lines / one(n_lines, 1), np.log1p(n_words / one(n_lines, 1)),
     ]).round(6)
 
 
