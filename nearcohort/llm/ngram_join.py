@@ -11,8 +11,9 @@ merge and only probed for texts that the merge brought up.
    table).  It only sets the order of a text's lists and cannot change the result.
 2. Texts with equal sets become one class, so copies are never paired.
 3. The short lists are the postings ``(shingle, class)``.  Lists of one class are dropped.
-4. Leaders: in every list each class meets the least class of its length band and of the
-   next band.  That is linear in the postings, also for a group of thousands of near copies.
+4. Leaders: a class meets a few of the leaders of its lists and length bands, in two rounds.
+   That is linear in the classes, also for a group of thousands of near copies, and unites
+   nearly all that links.
 5. Pairs that occur too rarely on the short lists to reach the overlap are dropped.
 6. The kernel ``TOccurrence`` heap-merges the short lists of the query, probes the long ones
    by binary search and keeps the classes that reach the overlap that their sizes require.
@@ -38,6 +39,8 @@ from nearcohort.plans.runtime import Workspace, ship, small
 
 #: Entries of the table of frequent shingles: at most 16 MB, whatever the corpus.
 MAX_FREQUENT = 1_000_000
+#: Leaders that a class meets in each round; the rest is compared in full afterwards.
+LEADER_ROUNDS = (2, 4)
 #: Candidates that one block of the kernel indexes together.
 BLOCK_CANDIDATES = 256
 
@@ -111,7 +114,7 @@ def _frequent(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBa
         for s in shingle_sets(b.column("text"), k):
             held.append(s)
             n += len(s)
-            if n >= 4_000_000:
+            if n >= 2_000_000:
                 yield out()
                 held, n = [], 0
     if held:
@@ -121,7 +124,7 @@ def _frequent(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBa
 def frequent_shingles(docs: DataFrame, k: int = 5) -> tuple[np.ndarray, np.ndarray]:
     """Heavy shingles of the whole corpus with counts, at most ``MAX_FREQUENT`` of them.
 
-    Each task reports shingles that it meets three times within four million; the sums
+    Each task reports shingles that it meets three times within two million; the sums
     order the lists and nothing else.
     """
     got = (docs.select("text").mapInArrow(lambda it: _frequent(it, k), "h long, c long")
@@ -219,6 +222,34 @@ def _linked(pairs: DataFrame, lists: DataFrame, docs: DataFrame, work: Workspace
     return out
 
 
+def _fits(pct: int) -> str:
+    return f"100 * least(n_a, n_b) >= {pct} * greatest(n_a, n_b)"
+
+
+def _placed(live: DataFrame, comp: DataFrame | None) -> DataFrame:
+    """Postings with the component of their class, so far."""
+    if comp is None:
+        return live.withColumn("comp", F.col("c"))
+    return (live.join(comp.withColumnRenamed("id", "c"), "c", "left")
+            .withColumn("comp", F.coalesce("comp", "c")))
+
+
+def _leader_pairs(placed: DataFrame, number: int, take: int, pct: int) -> DataFrame:
+    """Each class with ``take`` leaders of its lists that are in other components.
+
+    The leader of a list and band is its first class by id, in later rounds by a hash.
+    """
+    rank = F.col("c") if number == 0 else F.xxhash64("c", F.lit(number))
+    lead = placed.withColumn("rank", rank).groupBy("h", "band").agg(F.min(F.struct("rank", "c", "n", "comp")).alias("l"))
+    lead = lead.select("h", F.explode(F.array("band", F.col("band") - 1)).alias("band"), F.col("l.rank").alias("rank"),
+                       F.col("l.c").alias("b"), F.col("l.n").alias("n_b"), F.col("l.comp").alias("comp_b"))
+    met = (placed.select("h", "band", F.col("c").alias("a"), F.col("n").alias("n_a"), "comp")
+           .join(lead, ["h", "band"]).where("comp <> comp_b").where(_fits(pct)))
+    few = met.groupBy("a").agg(F.slice(F.array_sort(F.collect_set(F.struct("rank", "b"))), 1, take).alias("f"))
+    few = few.select("a", F.explode("f.b").alias("b"))
+    return few.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+
+
 def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace | None = None) -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id, class_id``.
 
@@ -249,26 +280,21 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
 
     # the shared short lists of a class: never more than its own short part
     lists = live.groupBy("c").agg(F.first("n").alias("n"), F.collect_set("h").alias("hs"))
-    fits = f"100 * least(n_a, n_b) >= {pct} * greatest(n_a, n_b)"
-    lead = live.groupBy("h", "band").agg(F.min(F.struct("c", "n")).alias("l"))
-    lead = lead.select("h", F.explode(F.array("band", F.col("band") - 1)).alias("band"),
-                       F.col("l.c").alias("b"), F.col("l.n").alias("n_b"))
-    first = work.save(
-        live.select("h", "band", F.col("c").alias("a"), F.col("n").alias("n_a")).join(lead, ["h", "band"])
-        .where("a <> b").where(fits)
-        .select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "leader-pairs")
-    links = _linked(first, lists, docs, work, k, pct)
-    comp = work.save(components(links, src="a", dst="b", work=work), "components-1")
-
-    placed = (live.join(comp.withColumnRenamed("id", "c"), "c", "left")
-              .withColumn("comp", F.coalesce("comp", "c")))
+    links = comp = None
+    for number, take in enumerate(LEADER_ROUNDS):
+        pairs = work.save(_leader_pairs(_placed(live, comp), number, take, pct), "leader-pairs")
+        found = _linked(pairs, lists, docs, work, k, pct)
+        links = found if links is None else links.unionByName(found)
+        comp = work.save(components(links, src="a", dst="b", work=work), "components")
+
+    placed = _placed(live, comp)
     split = placed.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
     open_ = work.save(placed.join(split, "h"), "open-lists")
     sides = [open_.select("h", F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("band").alias(f"band_{x}"),
                           F.col("comp").alias(f"comp_{x}")) for x in "ab"]
     rest = work.save(
         sides[0].join(sides[1], "h").where("a > b and comp_a <> comp_b and abs(band_a - band_b) <= 1")
-        .where(fits).select("a", "b").distinct().join(first, ["a", "b"], "left_anti"), "rest-pairs")
+        .where(_fits(pct)).select("a", "b").distinct(), "rest-pairs")
     more = _linked(rest, lists, docs, work, k, pct)
     comp = components(links.unionByName(more), src="a", dst="b", work=work)
     return (member.join(comp.withColumnRenamed("id", "class_id"), "class_id", "left")
