@@ -8,28 +8,60 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nearcohort.plans.runtime import Workspace
+from nearcohort.plans.runtime import Workspace, ship
 
 
 def _pairs(df: DataFrame, keys: list[str], big, low) -> DataFrame:
     return df.select(*keys, big.alias("u"), low.alias("v"))
 
 
+def _by_key(pairs: DataFrame, keys: list[str]) -> DataFrame:
+    """Union-find of each key in one task."""
+    ship(pairs.sparkSession)
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        up: dict = {}
+
+        def find(x):
+            while up.setdefault(x, x) != x:
+                up[x] = x = up[up[x]]
+            return x
+
+        for a, b in zip(pdf["u"].tolist(), pdf["v"].tolist(), strict=True):
+            a, b = find(a), find(b)
+            if a != b:
+                up[max(a, b)] = min(a, b)  # roots are least members
+        out = pd.DataFrame({"id": list(up), "comp": [find(x) for x in list(up)]})
+        for k in keys:
+            out[k] = pdf[k].iloc[0]
+        return out[[*keys, "id", "comp"]]
+
+    kinds = dict(pairs.dtypes)
+    schema = ", ".join([*(f"`{k}` {kinds[k]}" for k in keys), "id long", "comp long"])
+    return pairs.groupBy(*keys).applyInPandas(run, schema)
+
+
 def components(edges: DataFrame, keys: Sequence[str] = (), src: str = "src", dst: str = "dst",
-               work: Workspace | None = None, max_rounds: int = 100) -> DataFrame:
+               work: Workspace | None = None, max_rounds: int = 100, kernel_edges: int = 0) -> DataFrame:
     """Label every vertex of ``edges`` with the least vertex it can reach, within its keys.
 
     Returns ``keys + (id, comp)``.  Self-loops and rows with a null end are ignored; an
-    empty input gives an empty output.  Vertices without an edge do not appear.
+    empty input gives an empty output.  Vertices without an edge do not appear.  If no key
+    has more than ``kernel_edges`` edges, each key is labelled in one task instead.
     """
     keys = list(keys)
     work = work or Workspace(edges.sparkSession, "components")
     u, v = F.col(src), F.col(dst)
     stars = work.save(
         _pairs(edges.where(u != v), keys, F.greatest(u, v), F.least(u, v)).distinct(), "pairs")
+    if kernel_edges and keys:
+        most = stars.groupBy(*keys).count().agg(F.max("count")).first()[0] or 0
+        if most <= kernel_edges:
+            return _by_key(stars, keys)
     seen = None
     for _ in range(max_rounds):
         sym = stars.unionByName(_pairs(stars, keys, F.col("v"), F.col("u")))
