@@ -194,23 +194,25 @@ def _verify(batches, pct):
     yield batch(flush())
 
 
-def _promising(pairs: DataFrame, lists: DataFrame, pct: int) -> DataFrame:
-    """Pairs whose count on the short lists leaves a chance to reach the overlap.
+def _chance(common, pct: int):
+    """Is the count on the short lists enough for sets of n_a and n_b to reach the overlap.
 
     What two sets share outside both short parts is less than the greater ``need``, so a
     pair that links must occur ``overlap - greatest(need) + 1`` times on the short lists.
     """
+    return common >= (F.ceil(F.lit(pct) * (F.col("n_a") + F.col("n_b")) / F.lit(100 + pct) - 1e-9)
+                      - F.ceil(F.lit(pct) * F.greatest("n_a", "n_b") / F.lit(100) - 1e-9) + 1)
+
+
+def _promising(pairs: DataFrame, lists: DataFrame, pct: int) -> DataFrame:
+    """Pairs that occur often enough on the short lists."""
     side = [lists.select(F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("hs").alias(f"hs_{x}")) for x in "ab"]
     return (pairs.join(side[0], "a").join(side[1], "b")
-            .where(F.size(F.array_intersect("hs_a", "hs_b")) >=
-                   F.ceil(F.lit(pct) * (F.col("n_a") + F.col("n_b")) / F.lit(100 + pct) - 1e-9)
-                   - F.ceil(F.lit(pct) * F.greatest("n_a", "n_b") / F.lit(100) - 1e-9) + 1)
-            .select("a", "b"))
+            .where(_chance(F.size(F.array_intersect("hs_a", "hs_b")), pct)).select("a", "b"))
 
 
-def _linked(pairs: DataFrame, lists: DataFrame, docs: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame:
+def _linked(pairs: DataFrame, docs: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame:
     """Those of ``pairs`` (a, b) that link, with their overlap."""
-    pairs = work.save(_promising(pairs, lists, pct), "promising")
     ids = work.save(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "wanted")
     wanted = docs.select("doc_id", "text").join(small(ids, ids.count()), "doc_id", "left_semi")
     sets = work.save(wanted.mapInArrow(lambda it: _sets(it, k), "doc_id long, grams binary"), "sets")
@@ -223,7 +225,13 @@ def _linked(pairs: DataFrame, lists: DataFrame, docs: DataFrame, work: Workspace
 
 
 def _fits(pct: int) -> str:
-    return f"100 * least(n_a, n_b) >= {pct} * greatest(n_a, n_b)"
+    """May a shingle at places pos_a and pos_b of the two orders be the first common one.
+
+    All that two sets share lies at or behind their first common shingle, so each set must
+    have the overlap that the pair needs from its place on.  Also refuses sizes too unlike.
+    """
+    t = f"ceil({pct} * (n_a + n_b) / {100 + pct} - 1e-9)"
+    return f"pos_a <= n_a - {t} and pos_b <= n_b - {t}"
 
 
 def _placed(live: DataFrame, comp: DataFrame | None) -> DataFrame:
@@ -235,17 +243,18 @@ def _placed(live: DataFrame, comp: DataFrame | None) -> DataFrame:
 
 
 def _leader_pairs(placed: DataFrame, number: int, take: int, pct: int) -> DataFrame:
-    """Each class with ``take`` leaders of its lists that are in other components.
+    """Each class with the ``take`` leaders of other components that lead most of its lists.
 
     The leader of a list and band is its first class by id, in later rounds by a hash.
     """
     rank = F.col("c") if number == 0 else F.xxhash64("c", F.lit(number))
-    lead = placed.withColumn("rank", rank).groupBy("h", "band").agg(F.min(F.struct("rank", "c", "n", "comp")).alias("l"))
+    lead = placed.withColumn("rank", rank).groupBy("h", "band").agg(F.min(F.struct("rank", "c", "n", "comp", "pos")).alias("l"))
     lead = lead.select("h", F.explode(F.array("band", F.col("band") - 1)).alias("band"), F.col("l.rank").alias("rank"),
-                       F.col("l.c").alias("b"), F.col("l.n").alias("n_b"), F.col("l.comp").alias("comp_b"))
-    met = (placed.select("h", "band", F.col("c").alias("a"), F.col("n").alias("n_a"), "comp")
+                       F.col("l.c").alias("b"), F.col("l.n").alias("n_b"), F.col("l.comp").alias("comp_b"), F.col("l.pos").alias("pos_b")).drop("rank")
+    met = (placed.select("h", "band", F.col("c").alias("a"), F.col("n").alias("n_a"), "comp", F.col("pos").alias("pos_a"))
            .join(lead, ["h", "band"]).where("comp <> comp_b").where(_fits(pct)))
-    few = met.groupBy("a").agg(F.slice(F.array_sort(F.collect_set(F.struct("rank", "b"))), 1, take).alias("f"))
+    often = met.groupBy("a", "b").agg((-F.count("*")).alias("k"))
+    few = often.groupBy("a").agg(F.slice(F.array_sort(F.collect_list(F.struct("k", "b"))), 1, take).alias("f"))
     few = few.select("a", F.explode("f.b").alias("b"))
     return few.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
@@ -272,7 +281,7 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
         .select("doc_id", "n", F.coalesce("class_id", "doc_id").alias("class_id")), "members")
     copies = member.where("doc_id <> class_id").select("doc_id")
     posts = (sigs.join(small(copies, copies.count()), "doc_id", "left_anti")
-             .select(F.explode("pre").alias("h"), F.col("doc_id").alias("c"), "n"))
+             .select(F.posexplode("pre").alias("pos", "h"), F.col("doc_id").alias("c"), "n"))
     shared = posts.groupBy("h").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("h")
     # bands of length: linked sets lie in the same band or in neighbouring ones
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / pct)) + 1e-9)
@@ -282,8 +291,8 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
     lists = live.groupBy("c").agg(F.first("n").alias("n"), F.collect_set("h").alias("hs"))
     links = comp = None
     for number, take in enumerate(LEADER_ROUNDS):
-        pairs = work.save(_leader_pairs(_placed(live, comp), number, take, pct), "leader-pairs")
-        found = _linked(pairs, lists, docs, work, k, pct)
+        pairs = work.save(_promising(_leader_pairs(_placed(live, comp), number, take, pct), lists, pct), "leader-pairs")
+        found = _linked(pairs, docs, work, k, pct)
         links = found if links is None else links.unionByName(found)
         comp = work.save(components(links, src="a", dst="b", work=work), "components")
 
@@ -291,11 +300,12 @@ def jaccard_classes(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace
     split = placed.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
     open_ = work.save(placed.join(split, "h"), "open-lists")
     sides = [open_.select("h", F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("band").alias(f"band_{x}"),
-                          F.col("comp").alias(f"comp_{x}")) for x in "ab"]
+                          F.col("pos").alias(f"pos_{x}"), F.col("comp").alias(f"comp_{x}")) for x in "ab"]
     rest = work.save(
         sides[0].join(sides[1], "h").where("a > b and comp_a <> comp_b and abs(band_a - band_b) <= 1")
         .where(_fits(pct)).select("a", "b").distinct(), "rest-pairs")
-    more = _linked(rest, lists, docs, work, k, pct)
+    rest = work.save(_promising(rest, lists, pct), "promising-pairs")
+    more = _linked(rest, docs, work, k, pct)
     comp = components(links.unionByName(more), src="a", dst="b", work=work)
     return (member.join(comp.withColumnRenamed("id", "class_id"), "class_id", "left")
             .select("doc_id", F.col("n").alias("n_shingles"),
