@@ -134,7 +134,7 @@ def _encode(batches, spec):
         for r in range(len(texts)):
             done.append(tool.encode(texts[r].as_py()))
             size += len(done[-1])
-            if size > 4 * BLOCK_BYTES or r == len(texts) - 1:
+            if size > 16 * BLOCK_BYTES or r == len(texts) - 1:
                 yield pa.RecordBatch.from_arrays(
                     [ids.slice(start, len(done)), pa.array([len(x) // 4 for x in done], pa.int64()),
                      pa.array(done, pa.binary())], ["doc_id", "n_tokens", "ids"])

@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Bytes of text that a kernel works on at once (longer single texts form their own block).
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 18
 
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -38,7 +38,7 @@ def _letters(fold: bool) -> np.ndarray:
     return t
 
 
-@functools.lru_cache(4)
+@functools.lru_cache(2)
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     with np.errstate(over="ignore"):
         up = np.full(n, _BASE, _U)
