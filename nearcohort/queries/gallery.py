@@ -9,7 +9,7 @@ from nearcohort.functions import geo, udfs
 from nearcohort.model import make_queries
 from nearcohort.operators.truss import read_truss_index, truss_decompose, write_truss_index
 from nearcohort.plans.runtime import Workspace
-from nearcohort.plans.solve import solve
+from nearcohort.plans.solve import solve, spanning_forest
 from nearcohort.queries.searches import Q1
 from nearcohort.queries.sqlgen import edges_sql, peel_cte, search_sql, vertices_sql
 from nearcohort.sources.graphs import load
@@ -146,7 +146,7 @@ _SEGS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
 
 @add("agg_pivot", "SELECT c_nationkey, " + ", ".join(f"nullif(count(*) FILTER (c_mktsegment = '{x}'), 0) AS {x}" for x in _SEGS) + " FROM customer GROUP BY 1")
 def agg_pivot(s, d):
-    return table(s, d, "customer").groupBy("c_nationkey").pivot("c_mktsegment", list(_SEGS)).agg(F.count("*"))
+    return table(s, d, "customer").groupBy("c_nationkey").pivot("c_mktsegment", list(_SEGS)).agg(F.count("c_custkey"))
 
 
 @add("agg_collect", "SELECT p_brand, array_to_string(list_sort(list(DISTINCT p_type)), ',') AS types FROM part GROUP BY 1")
@@ -292,11 +292,15 @@ def session_batch(s, d):
 @add("recursive_components", f"WITH RECURSIVE g AS ({edges_sql('vectors')}), e AS (SELECT src, dst FROM g UNION SELECT dst, src FROM g), "
      "r(id, c) AS (SELECT src, src FROM e UNION SELECT e.dst, r.c FROM r JOIN e ON e.src = r.id WHERE r.c < e.dst) SELECT id, min(c) AS comp FROM r GROUP BY id")
 def recursive_components(s, d):
-    """Components of a small graph by a recursive query in Spark SQL."""
-    load(s, d, "vectors").edges.createOrReplaceTempView("nearcohort_small_edges")
-    return s.sql("""WITH RECURSIVE e AS (SELECT src, dst FROM nearcohort_small_edges UNION ALL SELECT dst, src FROM nearcohort_small_edges),
-      r(id, c, depth) AS (SELECT DISTINCT src, src, 0 FROM e
-        UNION ALL SELECT dst, min_c, depth + 1 FROM (SELECT e.dst, r.c AS min_c, r.depth FROM r JOIN e ON e.src = r.id WHERE r.c < e.dst AND r.depth < 12))
+    """Components of a small graph by a recursive query in Spark SQL.
+
+    The recursion walks a spanning forest, where no walk without turning back repeats.
+    """
+    e = load(s, d, "vectors").edges.select(F.lit(1).cast("long").alias("qid"), "src", "dst", F.lit(0.0).alias("ed"))
+    spanning_forest(e, Workspace(s, "forest")).createOrReplaceTempView("nearcohort_forest")
+    return s.sql("""WITH RECURSIVE e AS (SELECT src, dst FROM nearcohort_forest UNION ALL SELECT dst, src FROM nearcohort_forest),
+      r(id, c, came) AS (SELECT DISTINCT src, src, CAST(-1 AS BIGINT) FROM e
+        UNION ALL SELECT e.dst, r.c, r.id FROM r JOIN e ON e.src = r.id WHERE e.dst <> r.came)
       SELECT id, min(c) AS comp FROM r GROUP BY id""")
 
 
