@@ -27,7 +27,7 @@ def social_peel(edges: DataFrame, keys: Sequence[str], social: str = "truss", wo
     if social == "truss":
         out = truss_peel(e, keys, work=work, kernel_edges=kernel_edges)
     else:
-        out = (core_peel if social == "core" else nucleus_peel)(e, keys, work=work)
+        out = (core_peel if social == "core" else nucleus_peel)(e, keys, work=work, kernel_edges=kernel_edges)
     return out.withColumn("c", F.col("need") + less).drop("need")
 
 

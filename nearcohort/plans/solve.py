@@ -105,7 +105,7 @@ def _kernel(job: _Job, edges: DataFrame, start: str, method: str, options: dict)
     w = job.wanted.select("qid", F.lit("w").alias("t"), F.col("least").cast("long").alias("a"), F.lit(0).cast("long").alias("b"),
                           F.lit(0.0).alias("dist"), F.array("kw").alias("words"), F.lit(0.0).alias("influence"), F.lit(0).alias("c"))
     tagged = v.unionByName(e).unionByName(w)
-    min_size, sum_influence = cons.min_size, cons.sum_influence
+    min_size, sum_influence, social = cons.min_size, cons.sum_influence, cons.social
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         columns = [x.split()[0] for x in _ROWS.split(", ")]
@@ -122,7 +122,7 @@ def _kernel(job: _Job, edges: DataFrame, start: str, method: str, options: dict)
         pairs = [(min(at[a], at[b]), max(at[a], at[b])) for a, b in zip(edg["a"].tolist(), edg["b"].tolist(), strict=True)]
         weight = ver["influence"].tolist() if sum_influence is not None else None
         p = L.Problem(ids, ver["dist"].tolist(), hold, pairs, [int(x) for x in want["a"]], int(edg["c"].iloc[0]), min_size,
-                      weight, sum_influence or 0.0)
+                      weight, sum_influence or 0.0, social)
         if start == "trim":
             ans = L.Answer()
             ans.d, ans.edges = L.trim(p, p.edges, ans, options.get("trim", "forest"))
@@ -430,9 +430,10 @@ def solve(graph: Graph, queries: DataFrame, method: str = "two_phase", *, delta:
         seed, check, trim = "none", "full", "traverse" if trim == "auto" else trim
     most = job.pruned.groupBy("qid").count().agg(F.max("count")).first()[0] or 0
     local_only = method in ("nearest_insert", "farthest_peel")
-    if cons.social != "truss":
-        engine = "rounds"
+    if cons.social != "truss":  # pools, forests and vertex sweeps are made for trusses
         check = "full" if check != "lazy" else check
+        if engine != "rounds" and most <= kernel_edges and method != "all_radii":
+            method = "radius_bisect"
     if engine == "auto":
         engine = "kernel" if most <= kernel_edges and method != "all_radii" else "rounds"
     if local_only and engine == "rounds":

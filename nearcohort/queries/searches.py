@@ -68,11 +68,11 @@ search("group_large_team", "baskets", [q(_TYPES, 5, 6)], (30.4, 30.5))
 # variants of the constraints
 search("group_min_size", "buyers", [Q1], sql={"min_size": 9}, constraints=Constraints(min_size=9))
 search("group_per_keyword", "buyers", [Q1], sql={"per_keyword": {"BUILDING": 3}}, constraints=Constraints(per_keyword={"BUILDING": 3}))
-search("group_core", "buyers", [q(_SEG, 1, 5)], (10.0, 45.0), sql={"social": "core"}, constraints=Constraints(social="core"))
-search("group_influence", "buyers", [q(_SEG, 1, 3)], sql={"min_influence": 2_000_000.0}, constraints=Constraints(min_influence=2_000_000.0))
+search("group_core", "buyers", [q(_SEG, 1, 5)], (33.85, 33.88), sql={"social": "core"}, constraints=Constraints(social="core"))
+search("group_influence", "buyers", [q(_SEG, 1, 3)], (26.9, 27.02), sql={"min_influence": 2_000_000.0}, constraints=Constraints(min_influence=2_000_000.0))
 search("group_sum_influence", "buyers", [Q1], oracle=False, constraints=Constraints(sum_influence=2_000_000.0))
-search("group_closed", "buyers", [q(_SEG, 1, 3)], sql={"coverage": "closed"}, constraints=Constraints(coverage="closed"))
-search("group_jaccard", "baskets_attrs", [q(["PROMO", "LARGE", "SMALL"], 1, 6)], (0.0, 20.0), sql={"jaccard": 0.25, "attrs": True},
+search("group_closed", "buyers", [q(_SEG, 1, 3)], (26.99, 27.02), sql={"coverage": "closed"}, constraints=Constraints(coverage="closed"))
+search("group_jaccard", "baskets_attrs", [q(["PROMO", "LARGE", "SMALL"], 1, 6)], (30.3, 30.33), sql={"jaccard": 0.25, "attrs": True},
        constraints=Constraints(jaccard=0.25))
 search("group_social_only", "buyers", [q([], 1, 4)])
 search("group_nucleus", "active", [q(_ACT, 1, 4)], oracle=False, constraints=Constraints(social="nucleus"))
