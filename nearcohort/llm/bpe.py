@@ -17,7 +17,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nearcohort.llm.textblocks import BLOCK_BYTES
+from nearcohort.llm.textblocks import BLOCK_BYTES, hold
 from nearcohort.plans.runtime import ship
 
 #: Pre-tokens whose encodings a task keeps; the table is emptied when it is full.
@@ -116,14 +116,9 @@ class _Known(dict):
         return ids
 
 
-_codecs: dict[str, Codec] = {}
-
-
 def codec(spec: str) -> Codec:
-    """The codec of a vocabulary given as JSON text, made once per process."""
-    if spec not in _codecs:
-        _codecs[spec] = Codec(json.loads(spec))
-    return _codecs[spec]
+    """The codec of a vocabulary given as JSON text, kept until another operator needs the worker."""
+    return hold(("codec", spec), lambda: Codec(json.loads(spec)))
 
 
 def _encode(batches, spec):

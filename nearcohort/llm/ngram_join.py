@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nearcohort.llm.textblocks import shingle_sets
+from nearcohort.llm.textblocks import release, shingle_sets
 from nearcohort.operators.components import components
 from nearcohort.plans.runtime import Workspace, ship, small
 
@@ -114,7 +114,7 @@ def _frequent(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBa
         for s in shingle_sets(b.column("text"), k):
             held.append(s)
             n += len(s)
-            if n >= 2_000_000:
+            if n >= 1_000_000:
                 yield out()
                 held, n = [], 0
     if held:
@@ -124,7 +124,7 @@ def _frequent(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBa
 def frequent_shingles(docs: DataFrame, k: int = 5) -> tuple[np.ndarray, np.ndarray]:
     """Heavy shingles of the whole corpus with counts, at most ``MAX_FREQUENT`` of them.
 
-    Each task reports shingles that it meets three times within two million; the sums
+    Each task reports shingles that it meets three times within a million; the sums
     order the lists and nothing else.
     """
     got = (docs.select("text").mapInArrow(lambda it: _frequent(it, k), "h long, c long")
@@ -172,6 +172,7 @@ def _sets(batches, k):
 def _verify(batches, pct):
     """Rows (a, a_grams, b, b_grams) sorted by a: blocks of candidates b under one query a."""
     query, cand, sets, grams = None, [], [], None
+    release()
 
     def flush():
         hits = TOccurrence(sets).search(np.frombuffer(grams, np.uint64), pct) if sets else []
@@ -184,12 +185,13 @@ def _verify(batches, pct):
 
     for rb in batches:
         rows = []
-        for a, ga, b, gb in zip(*(rb.column(c).to_pylist() for c in ("a", "a_grams", "b", "b_grams")), strict=True):
+        for i in range(rb.num_rows):  # sets are read one at a time from the batch
+            a = rb.column("a")[i].as_py()
             if a != query or len(cand) >= BLOCK_CANDIDATES:
                 rows += flush()
-                query, grams, cand, sets = a, ga, [], []
-            cand.append(b)
-            sets.append(np.frombuffer(gb, np.uint64))
+                query, grams, cand, sets = a, rb.column("a_grams")[i].as_py(), [], []
+            cand.append(rb.column("b")[i].as_py())
+            sets.append(np.frombuffer(rb.column("b_grams")[i].as_py(), np.uint64))
         yield batch(rows)
     yield batch(flush())
 

@@ -7,6 +7,7 @@ one long text, so memory follows ``BLOCK_BYTES`` and the longest single text.
 from __future__ import annotations
 
 import functools
+import gc
 
 import numpy as np
 import pyarrow as pa
@@ -20,6 +21,25 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 
 
+_held: dict = {}
+
+
+def hold(owner, make):
+    """One large object per Python worker: workers are reused by other operators' tasks, and
+    what an earlier operator needed must not stay in their memory."""
+    if owner not in _held:
+        _held.clear()
+        _held[owner] = make()
+    return _held[owner]
+
+
+def release() -> None:
+    """Let go of what another operator left in this worker."""
+    if _held:
+        _held.clear()
+        gc.collect()
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser."""
     with np.errstate(over="ignore"):
@@ -50,6 +70,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 def blocks(texts: pa.Array):
     """Yield (first row, offsets, bytes) for runs of rows; a null text counts as empty."""
+    release()
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
     texts = texts.cast(pa.large_string()).fill_null("") if len(texts) else texts.cast(pa.large_string())
