@@ -7,7 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import GroupState, GroupStateTimeout
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from nearcohort.model import Graph
 from nearcohort.operators.graph import canonical_edges
@@ -70,11 +70,16 @@ def sessions(events: DataFrame, gap: str = "15 minutes", late: str = LATE) -> Da
 
 
 def met_within(events: DataFrame, seconds: int = 30, late: str = LATE) -> DataFrame:
-    """Stream-stream join: pairs of users active within ``seconds`` of each other."""
-    a = events.withWatermark("ts", late).select(F.col("user").alias("src"), F.col("ts").alias("ts_a"), F.window("ts", "1 hour").alias("w"))
-    b = events.withWatermark("ts", late).select(F.col("user").alias("dst"), F.col("ts").alias("ts_b"), F.window("ts", "1 hour").alias("w"))
-    near = F.expr(f"ts_b >= ts_a - interval {seconds} seconds and ts_b <= ts_a + interval {seconds} seconds and src < dst")
-    return a.join(b, (a.w == b.w) & near).select("src", "dst", "ts_a", "ts_b")
+    """Stream-stream join: pairs of users active within ``seconds`` of each other.
+
+    Equal or neighbouring buckets give the join a key, the interval lets old state go.
+    """
+    k = F.floor(F.unix_micros("ts") / F.lit(seconds * 1_000_000))
+    a = events.withWatermark("ts", late).select(F.col("user").alias("src"), F.col("ts").alias("ts_a"), k.alias("k_a"))
+    b = events.withWatermark("ts", late).select(F.col("user").alias("dst"), F.col("ts").alias("ts_b"),
+                                                F.explode(F.array(k - 1, k, k + 1)).alias("k_b"))
+    near = F.expr(f"k_a = k_b and src < dst and ts_b >= ts_a - interval {seconds} seconds and ts_b <= ts_a + interval {seconds} seconds")
+    return a.join(b, near).select("src", "dst", "ts_a", "ts_b")
 
 
 def run_to_end(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
