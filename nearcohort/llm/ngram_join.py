@@ -107,14 +107,14 @@ def _frequent(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBa
 
     def out():
         h, c = np.unique(np.concatenate(held), return_counts=True)
-        keep = c >= 3
+        keep = c >= 2
         return pa.RecordBatch.from_arrays([pa.array(h[keep].view(np.int64)), pa.array(c[keep])], ["h", "c"])
 
     for b in batches:
         for s in shingle_sets(b.column("text"), k):
             held.append(s)
             n += len(s)
-            if n >= 1_000_000:
+            if n >= 2_000_000:
                 yield out()
                 held, n = [], 0
     if held:
@@ -124,11 +124,11 @@ def _frequent(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBa
 def frequent_shingles(docs: DataFrame, k: int = 5) -> tuple[np.ndarray, np.ndarray]:
     """Heavy shingles of the whole corpus with counts, at most ``MAX_FREQUENT`` of them.
 
-    Each task reports shingles that it meets three times within a million; the sums
+    Each task reports shingles that it meets twice within two million; the sums
     order the lists and nothing else.
     """
     got = (docs.select("text").mapInArrow(lambda it: _frequent(it, k), "h long, c long")
-           .groupBy("h").agg(F.sum("c").alias("c")).where("c >= 16")
+           .groupBy("h").agg(F.sum("c").alias("c")).where("c >= 6")
            .orderBy(F.desc("c"), "h").limit(MAX_FREQUENT).toPandas())
     h = got["h"].to_numpy(np.int64).view(np.uint64)
     order = np.argsort(h)
