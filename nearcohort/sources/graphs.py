@@ -2,16 +2,21 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from nearcohort.functions.geo import cosine
+from nearcohort.kernels.near_pairs import near_pairs
 from nearcohort.model import Graph
 from nearcohort.operators.graph import canonical_edges, latest_checkin
+from nearcohort.plans.runtime import ship
 from nearcohort.sources.tables import event_attributes, table
 
-#: Vectors that may be compared all with all; more go through hyperplane buckets.
-EXACT_VECTORS = 20_000
+#: All vectors are compared with all, in pairs of blocks: so many blocks at least, so many vectors in one at most.
+LEAST_BLOCKS = 16
+BLOCK_VECTORS = 8192
 
 
 def _pairs(df: DataFrame, key: list[str], who: str) -> DataFrame:
@@ -65,21 +70,24 @@ def active(spark: SparkSession, sf_dir: str, minutes: int = 1) -> Graph:
     return Graph(v, _pairs(ev.select(bucket, "user_id"), ["bucket"], "user_id"), "active" if minutes == 1 else f"active{minutes}")
 
 
-def vectors(spark: SparkSession, sf_dir: str, least: float = 0.35, planes: int = 12, tables: int = 8) -> Graph:
-    """Embeddings of at least that cosine; hyperplane buckets propose pairs when there are many."""
-    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("label").cast("string").alias("kw"), "embedding")
-    sides = [e.select(F.col("id").alias(i), F.col("embedding").alias(f"e_{i}")) for i in ("src", "dst")]
-    if e.count() <= EXACT_VECTORS:
-        both = sides[0].join(F.broadcast(sides[1]), F.col("src") < F.col("dst"))
-    else:
-        def key(x, t):
-            sign = lambda p: F.aggregate(F.transform(x, lambda v, i: v * (F.pmod(F.xxhash64(i, F.lit(t * planes + p)), F.lit(2)) * 2 - 1)), F.lit(0.0), lambda s, v: s + v) > 0
-            return F.struct(F.lit(t), F.concat(*[sign(p).cast("int").cast("string") for p in range(planes)]))
-        put = lambda d, i: d.withColumn("bucket", F.explode(F.array(*[key(F.col(f"e_{i}"), t) for t in range(tables)])))
-        both = put(sides[0], "src").join(put(sides[1], "dst"), "bucket").where("src < dst").drop("bucket").dropDuplicates(["src", "dst"])
-    near = both.where(F.round(cosine(F.col("e_src"), F.col("e_dst")), 6) >= least)
+def vectors(spark: SparkSession, sf_dir: str, least: float = 0.35) -> Graph:
+    """Embeddings of at least that cosine: all pairs at every size, one task per pair of blocks."""
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("label").cast("string").alias("kw"), "embedding")
     v = e.select("id", "kw", F.col("embedding")[0].cast("double").alias("x"), F.col("embedding")[1].cast("double").alias("y"))
-    return Graph(v, canonical_edges(near), "vectors")
+    whole = e.where("id IS NOT NULL AND size(embedding) > 0 AND NOT exists(embedding, x -> x IS NULL)").select("id", "embedding")
+    blocks = max(LEAST_BLOCKS, -(-whole.count() // BLOCK_VECTORS))
+    put = whole.withColumn("block", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("long"))
+    put = put.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
+    put = put.select("id", "block", F.size("embedding").alias("dim"), F.least("block", "other").alias("left"),
+                     F.greatest("block", "other").alias("right"), "embedding")
+    ship(spark)
+
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return near_pairs(batches, bound)
+
+    bound = least - 1e-6  # what rounds to 6 decimals up to ``least``
+    found = put.groupBy("dim", "left", "right").applyInArrow(pairs, "src long, dst long, cos double")
+    return Graph(v, canonical_edges(found.where(F.round("cos", 6) >= least)), "vectors")
 
 
 def suppliers(spark: SparkSession, sf_dir: str, common: int = 3) -> Graph:

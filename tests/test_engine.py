@@ -167,3 +167,23 @@ def test_sinks(spark, buyers, tmp_path):
         r = spark.read.format(fmt)
         assert (r.option("header", True) if fmt == "csv" else r).load(str(tmp_path / fmt)).count() == 19
     assert os.path.isdir(tmp_path / "parquet" / "graph=buyers")
+
+
+def test_vectors_of_many_rows_are_compared_all_with_all(spark, tmp_path):
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.parquet as pq
+
+    n, dim = 20_050, 128  # more rows than one block holds
+    x = np.random.default_rng(3).standard_normal((n, dim)).astype(np.float32)
+    rows = [*x[:-3].tolist(), [0.0] * dim, None, [1.0, None]]
+    pq.write_table(pa.table({"vec_id": pa.array(range(n), pa.int64()), "embedding": pa.array(rows, pa.list_(pa.float32())),
+                             "label": pa.array([0] * n, pa.int32())}), tmp_path / "embeddings.parquet")
+    u = x[:-3].astype(np.float64)
+    u /= np.linalg.norm(u, axis=1)[:, None]
+    want = set()
+    for at in range(0, n, 2000):
+        i, j = np.nonzero(np.round(u[at:at + 2000] @ u.T, 6) >= 0.35)
+        want |= {(a, b) for a, b in zip((i + at).tolist(), j.tolist(), strict=True) if a < b}
+    got = [tuple(e) for e in load(spark, str(tmp_path), "vectors").edges.collect()]
+    assert len(got) == len(set(got)) and set(got) == want and len(want) > 1000
