@@ -182,6 +182,27 @@ def test_planted_passage_is_found_and_removed(spark):
     assert passage in clean[5] and passage not in clean[10] and clean[1] == dict(docs)[1]
 
 
+def test_short_passages_are_found_in_every_place(spark):
+    r = random.Random(11)
+    common = ["".join(r.choices("etaoinshrdlu", k=r.choice((2, 3, 4, 5, 5, 6, 7, 9)))) for _ in range(3000)]
+    text = lambda n: " ".join(r.choices(common, k=n))
+    docs, planted = [], []
+    for k in range(1500):
+        p = text(51 + k % 10)
+        for i in (2 * k, 2 * k + 1):
+            before = text(60)
+            docs.append((i, f"{before} {p} {text(60)}"))
+            planted.append((i, len(before) + 1, len(p)))
+    found = {}
+    for x in passages.repeated_spans(spark.createDataFrame(docs, "doc_id long, text string")).collect():
+        found.setdefault(x["doc_id"], []).append((x["start"], x["start"] + x["size"]))
+    whole = sum(any(a <= s and s + n <= b for a, b in found.get(i, ())) for i, s, n in planted)
+    assert whole >= 0.995 * len(planted)
+    texts = dict(docs)
+    for i, spans in found.items():
+        assert all(texts[i][a:b] in texts[i ^ 1] for a, b in spans if b - a < 1000)
+
+
 def test_passage_edges(weird, nothing):
     got = {(r["doc_id"], r["start"], r["size"]) for r in passages.repeated_spans(weird, 1).collect()}
     assert (9, 0, 26) in {g for g in got} or any(g[0] == 9 for g in got)
