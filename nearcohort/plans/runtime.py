@@ -3,13 +3,14 @@
 * ``Workspace``: durable intermediate tables.  Lineage is cut by writing Parquet into the
   folder that ``spark.checkpoint.dir`` names, so a lost executor costs a re-read and never
   a recomputation of earlier rounds.
-* ``ship``: puts this package on the executors' import path.
+* ``ship``: puts this package on the executors' import path and bounds Arrow batches by bytes.
 * ``small``: broadcast behind a checked row bound.
 """
 
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 import zipfile
@@ -19,24 +20,37 @@ from pyspark.sql import functions as F
 
 #: Rows below which a side of narrow rows (a few longs) may be broadcast.
 BROADCAST_ROWS = 1_000_000
+#: Bytes of one Arrow batch between the JVM and Python; a single larger row is its own batch.
+ARROW_BYTES = 4 << 20
+_ARROW = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 _shipped: set[str] = set()
 
 
 def checkpoint_root(spark: SparkSession) -> str:
-    """The shared folder of the session; a temporary one only where none is set (tests)."""
+    """The shared folder of the session; a temporary one only in local mode where none is set (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         known = spark.sparkContext._jsc.sc().getCheckpointDir()
         root = known.get() if known.isDefined() else None
     if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = "file://" + tempfile.mkdtemp(prefix="nearcohort-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
 
 
 def ship(spark: SparkSession) -> None:
-    """Serve the package's sources to the executors, once per application."""
+    """Serve the package's sources to the executors, once per application.
+
+    Texts differ in length by orders of magnitude, so a batch is bounded by bytes, not only by
+    rows; a lower bound of the session stays.
+    """
+    if spark.conf.isModifiable(_ARROW):
+        n, unit = re.match(r"(-?\d+)([kmg]?)", spark.conf.get(_ARROW).lower()).groups()
+        if not 0 < int(n) << {"": 0, "k": 10, "m": 20, "g": 30}[unit] <= ARROW_BYTES:
+            spark.conf.set(_ARROW, str(ARROW_BYTES))
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return
