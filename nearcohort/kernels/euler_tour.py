@@ -6,7 +6,7 @@ import random
 
 
 class _Node:
-    __slots__ = ("up", "left", "right", "pri", "vertex", "arc", "mark", "size", "count", "any")
+    __slots__ = ("up", "left", "right", "pri", "vertex", "arc", "mark", "size", "count", "total", "any")
 
     def __init__(self, pri, vertex=None, arc=None, count=None):
         self.up = self.left = self.right = None
@@ -14,14 +14,15 @@ class _Node:
         self.mark = False  # a vertex with loose edges here, or an arc whose edge is at this level
         self.size = 1 if vertex is not None else 0
         self.count = count
+        self.total = 0.0
         self.any = False
 
 
 class EulerForest:
-    """A forest over integer vertices; ``hold[v]`` lists the keywords of v (optional)."""
+    """A forest over integer vertices; ``hold[v]`` lists the keywords of v, ``weight[v]`` its weight (both optional)."""
 
-    def __init__(self, hold=None, n_keywords: int = 0, seed: int = 7):
-        self.hold, self.k = hold, n_keywords if hold is not None else 0
+    def __init__(self, hold=None, n_keywords: int = 0, seed: int = 7, weight=None):
+        self.hold, self.k, self.weight = hold, n_keywords if hold is not None else 0, weight
         self.vertex: dict[int, _Node] = {}
         self.arcs: dict[tuple[int, int], _Node] = {}
         self.rand = random.Random(seed).random
@@ -38,13 +39,15 @@ class EulerForest:
     def _pull(self, n: _Node) -> None:
         size, any_ = (1 if n.vertex is not None else 0), n.mark
         count = self._own(n) if self.k else None
+        total = self.weight[n.vertex] if self.weight is not None and n.vertex is not None else 0.0
         for c in (n.left, n.right):
             if c is not None:
                 size += c.size
+                total += c.total
                 any_ = any_ or c.any
                 if self.k and c.count is not None:
                     count = [a + b for a, b in zip(count, c.count, strict=True)] if count else list(c.count)
-        n.size, n.any, n.count = size, any_, count
+        n.size, n.any, n.count, n.total = size, any_, count, total
 
     def _merge(self, a: _Node | None, b: _Node | None) -> _Node | None:
         if a is None or b is None:

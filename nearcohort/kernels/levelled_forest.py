@@ -13,8 +13,8 @@ from nearcohort.kernels.euler_tour import EulerForest
 
 
 class LevelledForest:
-    def __init__(self, hold, n_keywords: int):
-        self.levels = [EulerForest(hold, n_keywords)]
+    def __init__(self, hold, n_keywords: int, weight=None):
+        self.levels = [EulerForest(hold, n_keywords, weight=weight)]
         self.level: dict[tuple[int, int], int] = {}
         self.tree: set[tuple[int, int]] = set()
         self.loose: list[dict[int, set[int]]] = [{}]
@@ -108,10 +108,10 @@ class LevelledForest:
     def tree_of(self, v: int):
         return self.levels[0].root(v)
 
-    def census(self, v: int) -> tuple[list[int], int]:
-        """Keyword counts and size of the tree of v."""
+    def census(self, v: int) -> tuple[list[int], int, float]:
+        """Keyword counts, size and weight of the tree of v; no member is visited."""
         r = self.tree_of(v)
-        return (r.count or [0] * self.levels[0].k), r.size
+        return (r.count or [0] * self.levels[0].k), r.size, r.total
 
     def members(self, v: int) -> list[int]:
         return list(self.levels[0].members(self.tree_of(v)))
