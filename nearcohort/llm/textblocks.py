@@ -2,12 +2,16 @@
 
 Texts are handled as UTF-8 bytes inside Arrow buffers.  A block holds many short texts or
 one long text, so memory follows ``BLOCK_BYTES`` and the longest single text.
+
+Hashes only propose: an operator that reports equal words or shingles compares the words.
 """
 
 from __future__ import annotations
 
+import ctypes
 import functools
 import gc
+import hashlib
 
 import numpy as np
 import pyarrow as pa
@@ -15,10 +19,16 @@ import pyarrow as pa
 #: Bytes of text that a kernel works on at once (longer single texts form their own block).
 BLOCK_BYTES = 1 << 18
 
+#: Words of up to this many bytes are hashed eight bytes at a time, longer ones one by one.
+LANE_BYTES = 64
+
 _U = np.uint64
-_BASE = 0x9E3779B97F4A7C15 | 1
+_SEED = _U(0x9E3779B97F4A7C15)
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
+_FOLD = np.arange(256, dtype=np.uint8)
+_FOLD[65:91] += 32
+_REST = np.array([0, *((1 << 8 * i) - 1 for i in range(1, 8)), (1 << 64) - 1], _U)
 
 
 _held: dict = {}
@@ -37,7 +47,17 @@ def release() -> None:
     """Let go of what another operator left in this worker."""
     if _held:
         _held.clear()
-        gc.collect()
+        give_back()
+
+
+def give_back() -> None:
+    """Return freed memory to the machine: a worker lives on, idle, beside other tasks."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):
+        pass  # another C library: it decides by itself
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -48,29 +68,8 @@ def mix(x: np.ndarray) -> np.ndarray:
         return x ^ (x >> _U(31))
 
 
-@functools.lru_cache(None)
-def _letters(fold: bool) -> np.ndarray:
-    """A random 64-bit value per byte; A-Z get those of a-z if ``fold``."""
-    with np.errstate(over="ignore"):
-        t = mix((np.arange(256, dtype=_U) + _U(1)) * _U(_BASE))
-    if fold:
-        t[65:91] = t[97:123]
-    return t
-
-
-@functools.lru_cache(2)
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    with np.errstate(over="ignore"):
-        up = np.full(n, _BASE, _U)
-        up[0] = 1
-        down = np.full(n, pow(_BASE, -1, 1 << 64), _U)
-        down[0] = 1
-        return np.multiply.accumulate(up), np.multiply.accumulate(down)
-
-
 def blocks(texts: pa.Array):
     """Yield (first row, offsets, bytes) for runs of rows; a null text counts as empty."""
-    release()
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
     texts = texts.cast(pa.large_string()).fill_null("") if len(texts) else texts.cast(pa.large_string())
@@ -86,6 +85,32 @@ def blocks(texts: pa.Array):
         i = j
 
 
+def _word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each word: its lanes of eight bytes are mixed in one after the other."""
+    size = ends - starts
+    wide = np.zeros(len(data) + 8, np.uint8)
+    wide[:len(data)] = data
+    lanes = np.ndarray((len(data) + 1,), "<u8", wide, strides=(1,))  # eight bytes from any place on
+    with np.errstate(over="ignore"):
+        h = mix(size.astype(_U) * _SEED + _U(1))
+        todo, at = None, 0
+        while True:
+            s, left = (starts, size) if todo is None else (starts[todo] + at, size[todo] - at)
+            if not len(s):
+                break
+            lane = lanes[s] & _REST[np.minimum(left, 8)]
+            if todo is None:
+                h = mix((h ^ lane) * _SEED + _U(at + 3))
+                todo = np.flatnonzero((size > 8) & (size <= LANE_BYTES))
+            else:
+                h[todo] = mix((h[todo] ^ lane) * _SEED + _U(at + 3))
+                todo = todo[left > 8]
+            at += 8
+    for i in np.flatnonzero(size > LANE_BYTES):
+        h[i] = int.from_bytes(hashlib.blake2b(data[starts[i]:ends[i]].tobytes(), digest_size=8).digest(), "little")
+    return h
+
+
 def words(off: np.ndarray, data: np.ndarray, fold: bool = True):
     """Hash every word of a block: (starts, ends, hashes, first word of each text + end)."""
     n = len(data)
@@ -103,13 +128,17 @@ def words(off: np.ndarray, data: np.ndarray, fold: bool = True):
     after[-1] = False
     after[:-1] = ink[1:]
     ends = np.flatnonzero(ink & (~after | brk[1:])) + 1
-    cap = 1 << max(16, int(n).bit_length())
-    up, down = _powers(cap)
-    with np.errstate(over="ignore"):
-        acc = np.zeros(n + 1, _U)
-        np.cumsum(_letters(fold)[data] * up[:n], out=acc[1:])
-        h = mix((acc[ends] - acc[starts]) * down[starts])
-    return starts, ends, h, np.searchsorted(starts, off)
+    return starts, ends, _word_hashes(_FOLD[data] if fold else data, starts, ends), np.searchsorted(starts, off)
+
+
+def plain_words(raw: bytes) -> list[bytes]:
+    """The words of a text in UTF-8 as ``words`` cuts them, A-Z lower-cased."""
+    return raw.lower().split()
+
+
+def plain_shingles(w: list[bytes], k: int) -> set[bytes]:
+    """The distinct shingles of ``shingle_sets`` as bytes, for exact comparison."""
+    return {b" ".join(w[i:i + k]) for i in range(len(w) - k + 1)} if len(w) >= k else {b" ".join(w)} if w else set()
 
 
 @functools.lru_cache(None)
@@ -118,6 +147,29 @@ def _salts(k: int) -> np.ndarray:
         return mix((np.arange(k + 1, dtype=_U) + _U(7)) * _U(0xD1342543DE82EF95)) | _U(1)
 
 
+def word_grams(h: np.ndarray, k: int, whole: int) -> np.ndarray:
+    """Hash of each run of ``k`` words; runs shorter than the ``whole`` shingle carry their length."""
+    c = _salts(whole)
+    m = max(0, len(h) - k + 1)
+    with np.errstate(over="ignore"):
+        s = h[:m] * c[0]
+        for j in range(1, k):
+            s += h[j:j + m] * c[j]
+        return mix(s if k == whole else s + c[whole] * _U(k))
+
+
+def sets_of(h: np.ndarray, first: np.ndarray, k: int):
+    """Yield the shingle set of each text of a block from its word hashes (see ``shingle_sets``)."""
+    s = word_grams(h, k, k)
+    for a, b in zip(first[:-1], first[1:], strict=True):
+        if b - a >= k:
+            yield np.unique(s[a:b - k + 1])
+        elif b > a:
+            yield word_grams(h[a:b], int(b - a), k)
+        else:
+            yield h[:0]
+
+
 def shingle_sets(texts: pa.Array, k: int = 5):
     """Yield per text the sorted distinct 64-bit hashes of its ``k``-word shingles.
 
@@ -125,20 +177,6 @@ def shingle_sets(texts: pa.Array, k: int = 5):
     of 1 to k-1 words has its whole sequence as its one shingle; without words the set is
     empty.
     """
-    c = _salts(k)
     for _, off, data in blocks(texts):
         _, _, h, first = words(off, data)
-        m = len(h) - k + 1
-        with np.errstate(over="ignore"):
-            if m > 0:
-                s = h[:m] * c[0]
-                for j in range(1, k):
-                    s += h[j:j + m] * c[j]
-                s = mix(s)
-            for a, b in zip(first[:-1], first[1:], strict=True):
-                if b - a >= k:
-                    yield np.unique(s[a:b - k + 1])
-                elif b > a:
-                    yield mix((h[a:b] * c[:b - a]).sum(dtype=_U)[None] + c[k] * _U(b - a))
-                else:
-                    yield h[:0]
+        yield from sets_of(h, first, k)
