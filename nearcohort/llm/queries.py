@@ -107,11 +107,14 @@ r AS (SELECT a AS id, b AS m FROM p UNION SELECT r.id, p.b FROM r JOIN p ON r.m
 SELECT k.doc_id, k.n AS n_shingles, least(k.class_id, coalesce(c.m, k.class_id)) AS component_id, k.class_id
 FROM k LEFT JOIN (SELECT id, min(m) AS m FROM r GROUP BY id) c ON c.id = k.class_id""",
     "op2_benchmark_decontamination": f"""
-WITH d AS (SELECT doc_id, {_SHINGLES} AS g FROM (SELECT doc_id, {_WORDS} AS w FROM documents)),
-b AS (SELECT item_id, {_SHINGLES} AS g FROM (SELECT item_id, {_WORDS} AS w FROM benchmark WHERE text IS NOT NULL)),
-de AS (SELECT doc_id, unnest(g) AS h FROM d), be AS (SELECT item_id, len(g) AS n, unnest(g) AS h FROM b)
-SELECT doc_id, item_id, CAST(n AS BIGINT) AS n_item, count(*) AS n_shared, count(*) / CAST(n AS DOUBLE) AS containment
-FROM de JOIN be USING (h) GROUP BY doc_id, item_id, n HAVING 100 * count(*) >= 80 * n""",
+WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+b AS (SELECT item_id, least(len(w), 5) AS k, w FROM (SELECT item_id, {_WORDS} AS w FROM benchmark) WHERE len(w) > 0),
+be AS (SELECT item_id, k, unnest(list_distinct(list_transform(range(1, len(w) - k + 2), lambda i: array_to_string(w[i:i + k - 1], ' ')))) AS h FROM b),
+q AS (SELECT item_id, k, count(*) AS n FROM be GROUP BY ALL),
+de AS (SELECT doc_id, k, unnest(list_distinct(list_transform(range(1, len(w) - k + 2), lambda i: array_to_string(w[i:i + k - 1], ' ')))) AS h
+       FROM d CROSS JOIN (SELECT DISTINCT k FROM b) WHERE len(w) >= k)
+SELECT doc_id, item_id, n AS n_item, count(*) AS n_shared, count(*) / CAST(n AS DOUBLE) AS containment
+FROM de JOIN be USING (k, h) JOIN q USING (item_id, k) GROUP BY doc_id, item_id, n HAVING 100 * count(*) >= 80 * n""",
     "op5_exact_dedup": """
 WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents)
 SELECT doc_id, max(doc_id) OVER (PARTITION BY text) AS keep_id, count(*) OVER (PARTITION BY text) AS group_size,
