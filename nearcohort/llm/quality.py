@@ -5,6 +5,12 @@ small boosted trees are grown; every path from a root to a node is a conjunction
 comparisons, and these rules are the inputs of a logistic regression with an L1 penalty,
 which leaves few of them.  The rules that keep a weight are compiled into one Spark column
 expression, so that scoring is a projection over the statistics.
+
+Only the text goes to Python and only its statistics come back; documents are filtered where
+they are.  Null and empty texts have all statistics zero (but ``word_richness``, which is one
+below two words) and are scored like others.  Columns other than doc_id and text, whatever their
+names, are ignored or kept as they are.  Repeated rows and ids and null ids are scored row by
+row; empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -17,7 +23,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from nearcohort.llm.textblocks import blocks, words
+from nearcohort.llm.rows import fresh
+from nearcohort.llm.textblocks import blocks, release, words
 from nearcohort.plans.runtime import ship
 
 #: Labelled documents that the model is fitted on, at most (those of least hash).
@@ -82,18 +89,22 @@ def block_statistics(off: np.ndarray, data: np.ndarray) -> np.ndarray:
     ]).round(6)
 
 
-def _measure(batches):
-    for b in batches:
-        got = [block_statistics(off, data) for _, off, data in blocks(b.column("text"))]
-        m = np.concatenate(got) if got else np.zeros((0, len(FEATURES)))
-        yield pa.RecordBatch.from_arrays([b.column("doc_id"), *map(pa.array, m.T)], ["doc_id", *FEATURES])
+def _measure(texts: pa.Array) -> pa.Array:
+    release()
+    got = [block_statistics(off, data) for _, off, data in blocks(texts)]
+    m = np.concatenate(got) if got else np.zeros((0, len(FEATURES)))
+    return pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(c)) for c in m.T], list(FEATURES))
+
+
+def statistics(text: str = "text") -> Column:
+    """A struct of ``FEATURES`` of a text column."""
+    return F.arrow_udf(_measure, ", ".join(f"{f} double" for f in FEATURES))(F.col(text))
 
 
 def text_statistics(docs: DataFrame) -> DataFrame:
-    """``doc_id`` and ``FEATURES`` of every whole text; null counts as empty (all zeros)."""
+    """``doc_id`` and ``FEATURES`` of every whole text."""
     ship(docs.sparkSession)
-    kinds = "doc_id long, " + ", ".join(f"{f} double" for f in FEATURES)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_measure, kinds)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), statistics().alias("s")).select("doc_id", "s.*")
 
 
 @dataclass(frozen=True)
@@ -109,10 +120,11 @@ class Rule:
             ok &= (v <= bound) if below else (v > bound)
         return ok
 
-    def column(self) -> Column:
+    def column(self, prefix: str = "") -> Column:
         out = F.lit(True)
         for f, below, bound in self.terms:
-            out = out & ((F.col(f) <= bound) if below else (F.col(f) > bound))
+            v = F.col(prefix + f)
+            out = out & ((v <= bound) if below else (v > bound))
         return out
 
 
@@ -129,10 +141,11 @@ class RuleModel:
             z += w * r.holds(x)
         return 1 / (1 + np.exp(-z))
 
-    def column(self) -> Column:
+    def column(self, prefix: str = "") -> Column:
+        """The score as an expression over columns ``prefix + feature``."""
         z = F.lit(float(self.bias))
         for r, w in self.rules:
-            z = z + F.when(r.column(), F.lit(float(w))).otherwise(F.lit(0.0))
+            z = z + F.when(r.column(prefix), F.lit(float(w))).otherwise(F.lit(0.0))
         return 1.0 / (1.0 + F.exp(-z))
 
 
@@ -244,21 +257,9 @@ def score(docs: DataFrame, model: RuleModel) -> DataFrame:
                     (F.col("score") >= THRESHOLD).cast("int").alias("predicted")))
 
 
-def _pick(batches, columns):
-    for b in batches:
-        got = [block_statistics(off, data) for _, off, data in blocks(b.column("text"))]
-        m = np.concatenate(got) if got else np.zeros((0, len(FEATURES)))
-        yield pa.RecordBatch.from_arrays([b.column(c) for c in columns] + [pa.array(m[:, i]) for i in range(len(FEATURES))],
-                                         [*columns, *(f"__{f}" for f in FEATURES)])
-
-
 def keep_good(docs: DataFrame, model: RuleModel) -> DataFrame:
     """``docs`` without the rejected ones, by the same expression (no join, no shuffle)."""
     ship(docs.sparkSession)
-    columns = docs.columns
-    kinds = ", ".join([*(f"`{c}` {t}" for c, t in docs.dtypes), *(f"`__{f}` double" for f in FEATURES)])
-    wide = docs.mapInArrow(lambda it: _pick(it, columns), kinds)
-    for f in FEATURES:
-        wide = wide.withColumnRenamed(f, f"__own_{f}").withColumnRenamed(f"__{f}", f)
-    kept = wide.where(model.column() >= THRESHOLD)
-    return kept.select(*[F.col(f"__own_{c}").alias(c) if c in FEATURES else F.col(c) for c in columns])
+    own = fresh("statistics", docs.columns)
+    return (docs.withColumn(own, statistics()).where(model.column(own + ".") >= THRESHOLD)
+            .select(*[f"`{c}`" for c in docs.columns]))
