@@ -18,7 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from nearcohort.llm.textblocks import mix
+from nearcohort.llm.rows import fresh, keyed_rows
+from nearcohort.llm.textblocks import mix, release
 from nearcohort.plans.runtime import Workspace, ship
 
 #: A cut needs this many leading bits of the rolling hash to be zero: 32 bytes on average.
@@ -58,6 +59,7 @@ def cuts(data: np.ndarray) -> list[int]:
 
 
 def _chunks(batches):
+    release()
     for b in batches:
         docs, start, size, d1, d2 = [], [], [], [], []
 
@@ -162,9 +164,23 @@ def repeated_spans(docs: DataFrame, min_bytes: int = MIN_SPAN_BYTES, work: Works
     ``n_later`` counts the chunks whose first occurrence (least doc_id, then offset) is
     elsewhere, so a span with 0 is the one to keep; ``first_doc`` is the least document
     that holds one of the span's chunks first.  Null and empty texts have no chunk.
-    Copies of a whole document are one span from 0 to its end.
+    Copies of a whole document are one span from 0 to its end.  Rows that repeat a doc_id or have
+    none are texts of their own, in the order of their numbers.  Columns other than doc_id and
+    text, whatever their names, are ignored; an empty table gives an empty result.
     """
     work = work or Workspace(docs.sparkSession, "passages")
+    rows, key, unique = keyed_rows(docs.select("doc_id", "text"), work)
+    spans = _spans(rows.select(F.col(key).alias("doc_id"), "text"), min_bytes, work)
+    if unique:
+        return spans
+    own = rows.select(F.col(key).alias("row"), F.col("doc_id").cast("long").alias("id"))
+    for name in ("doc_id", "first_doc"):
+        spans = spans.join(own.withColumnsRenamed({"row": name, "id": f"{name}_id"}), name).drop(name).withColumnRenamed(f"{name}_id", name)
+    return spans.select("doc_id", "start", "size", "n_chunks", "n_later", "first_doc")
+
+
+def _spans(docs: DataFrame, min_bytes: int, work: Workspace) -> DataFrame:
+    """``repeated_spans`` of rows with a unique ``doc_id``."""
     chunks = work.save(chunk_table(docs), "chunks")
     place = F.struct("doc_id", "start")
     groups = (chunks.groupBy("d1", "d2").agg(F.count("*").alias("n"), F.min(place).alias("f"), F.max(place).alias("l"))
@@ -204,10 +220,11 @@ def repeated_spans(docs: DataFrame, min_bytes: int = MIN_SPAN_BYTES, work: Works
     return spans.where(F.col("size") >= min_bytes).drop("span")
 
 
-def _cut_out(batches, columns):
+def _cut_out(batches, columns, cuts):
+    release()
     for b in batches:
         texts = []
-        for t, spans in zip(b.column("text"), b.column("__cuts"), strict=True):
+        for t, spans in zip(b.column("text"), b.column(cuts), strict=True):
             text, cut = t.as_py(), spans.as_py()
             if text is not None and cut:
                 raw, at, keep = text.encode("utf-8", "replace"), 0, []
@@ -221,12 +238,17 @@ def _cut_out(batches, columns):
             [pa.array(texts, pa.string()) if c == "text" else b.column(c) for c in columns], list(columns))
 
 
-def remove_repeats(docs: DataFrame, min_bytes: int = MIN_SPAN_BYTES) -> DataFrame:
-    """``docs`` with every repeated span removed from all places but its first."""
-    work = Workspace(docs.sparkSession, "passages")
-    spans = repeated_spans(docs, min_bytes, work).where("n_later > 0")
-    per_doc = spans.groupBy("doc_id").agg(F.collect_list(F.struct("start", "size")).alias("__cuts"))
-    wide = docs.join(per_doc, "doc_id", "left")
+def remove_repeats(docs: DataFrame, min_bytes: int = MIN_SPAN_BYTES, work: Workspace | None = None) -> DataFrame:
+    """``docs`` with every repeated span removed from all places but its first.
+
+    Row by row, by the rule of ``repeated_spans``: all rows stay, null texts too.
+    """
+    work = work or Workspace(docs.sparkSession, "passages")
+    rows, key, _ = keyed_rows(docs, work)
+    spans = _spans(rows.select(F.col(key).alias("doc_id"), "text"), min_bytes, work).where("n_later > 0")
+    cuts = fresh("cuts", rows.columns)
+    per_doc = spans.groupBy(F.col("doc_id").alias(key)).agg(F.collect_list(F.struct("start", "size")).alias(cuts))
+    wide = rows.join(per_doc, key, "left")
     columns = docs.columns
     kinds = ", ".join(f"`{c}` {t}" for c, t in docs.dtypes)
-    return wide.select(*columns, "__cuts").mapInArrow(lambda it: _cut_out(it, columns), kinds)
+    return wide.select(*[f"`{c}`" for c in (*columns, cuts)]).mapInArrow(lambda it: _cut_out(it, columns, cuts), kinds)

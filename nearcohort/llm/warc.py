@@ -7,9 +7,10 @@ revisit it.
 Reading: Spark's text reader splits the files at every version line, also at those inside
 payloads, in parallel.  Each piece is a *candidate* record: its Content-Length says where its
 successor must start.  Only candidates that the chain from the start of the file reaches
-are records.  Runs of candidates that follow one another are contracted first; pointer
-jumping over what remains takes a logarithm of the number of breaks.  Records whose
-payload holds a version line are put together again from their pieces.
+are records.  Runs of candidates that follow one another in a split of a file are contracted
+first, so no task sees more than a split; pointer jumping over what remains takes a logarithm
+of the number of splits and breaks.  Records whose payload holds a version line are put together
+again from their pieces.
 """
 
 from __future__ import annotations
@@ -114,14 +115,14 @@ def read_archives(spark: SparkSession, path: str, work: Workspace) -> DataFrame:
     cand = _placed(_parsed(_pieces(spark, path)), work, "pieces").where("pos >= 0")
     cand = work.save(cand.withColumn("succ", F.col("pos") + len(MAGIC) + F.col("skip") + F.col("claim") + len(END)),
                      "candidates")
-    order = W.partitionBy("file").orderBy("pos")
-    linked = cand.select("file", "pos", "succ", F.lag("succ").over(order).alias("came"),
+    order = W.partitionBy("file", "block").orderBy("pos")
+    linked = cand.select("file", "block", "pos", "succ", F.lag("succ").over(order).alias("came"),
                          F.lead("pos").over(order).alias("next"))
-    jumps = linked.where("succ is not null and next is not null and succ <> next").select("file", F.col("succ").alias("pos")).distinct()
+    jumps = linked.where("succ is not null and (next is null or succ <> next)").select("file", F.col("succ").alias("pos")).distinct()
     cut = linked.join(jumps.withColumn("aim", F.lit(True)), ["file", "pos"], "left")
     cut = cut.withColumn("head", (F.col("came").isNull() | (F.col("came") != F.col("pos")) | F.coalesce("aim", F.lit(False))).cast("int"))
     runs = work.save(cut.withColumn("run", F.sum("head").over(order)), "runs")
-    heads = runs.groupBy("file", "run").agg(F.min("pos").alias("pos"), F.max_by("succ", "pos").alias("to"))
+    heads = runs.groupBy("file", "block", "run").agg(F.min("pos").alias("pos"), F.max_by("succ", "pos").alias("to"))
     hops = work.save(heads.join(heads.select("file", F.col("pos").alias("to")), ["file", "to"], "left_semi")
                      .select("file", "pos", "to"), "hops")
     reach = work.save(heads.where("pos = 0").select("file", "pos"), "reached")
@@ -137,7 +138,7 @@ def read_archives(spark: SparkSession, path: str, work: Workspace) -> DataFrame:
         far = hops.select("file", F.col("pos").alias("to"), F.col("to").alias("far"))
         hops = work.save(hops.join(far, ["file", "to"]).select("file", "pos", F.col("far").alias("to"))
                          .unionByName(hops).distinct(), "hops")
-    good = (runs.join(heads.join(reach, ["file", "pos"], "left_semi").select("file", "run"), ["file", "run"], "left_semi")
+    good = (runs.join(heads.join(reach, ["file", "pos"], "left_semi").select("file", "block", "run"), ["file", "block", "run"], "left_semi")
             .select("file", "pos"))
     record = cand.join(good, ["file", "pos"], "left_semi")
     whole = F.col("skip") + F.col("claim") <= F.col("size")
