@@ -14,27 +14,73 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nearcohort.llm.textblocks import blocks, mix, words
+from nearcohort.llm.textblocks import blocks, mix, release, words
 from nearcohort.plans.runtime import ship
 
 WINDOW = 3
 MIN_COVERAGE = 0.8
 
-#: Notices by which well-known licenses are applied to a work.
+#: Bytes of all templates together: they travel with every task.
+MAX_TEMPLATE_BYTES = 8 << 20
+
+#: Public texts of well-known licenses and the notices by which they are applied.
 TEMPLATES: tuple[tuple[str, str], ...] = (
     ("mit-notice", "Released under the MIT License."),
     ("mit-grant", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and "
      "associated documentation files, to deal in the Software without restriction, including without limitation the "
      "rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software"),
+    ("mit-conditions", "The above copyright notice and this permission notice shall be included in all copies or substantial "
+     "portions of the Software."),
+    ("mit-disclaimer", "THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT "
+     "LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL "
+     "THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, "
+     "TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."),
+    ("isc", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby "
+     "granted, provided that the above copyright notice and this permission notice appear in all copies."),
+    ("isc-disclaimer", "THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE "
+     "INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, "
+     "DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER "
+     "IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE "
+     "OF THIS SOFTWARE."),
     ("apache-2.0-notice", "Licensed under the Apache License, Version 2.0."),
+    ("apache-2.0-header", "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in "
+     "compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless "
+     "required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" "
+     "BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language "
+     "governing permissions and limitations under the License."),
     ("gpl-3.0-notice", "This work is licensed under the GNU General Public License, version 3."),
     ("gpl-grant", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU "
      "General Public License as published by the Free Software Foundation"),
+    ("lgpl-grant", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser "
+     "General Public License as published by the Free Software Foundation"),
+    ("agpl-grant", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero "
+     "General Public License as published by the Free Software Foundation"),
+    ("gpl-disclaimer", "This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the "
+     "implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE."),
     ("cc-by-nc-4.0-notice", "Licensed under CC BY-NC 4.0."),
     ("cc-by-4.0-notice", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
+    ("cc-by-sa-4.0-notice", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
+    ("cc-by-nd-4.0-notice", "This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License."),
+    ("cc0-notice", "To the extent possible under law, the author has waived all copyright and related or neighboring rights to "
+     "this work."),
+    ("unlicense", "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, "
+     "publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any "
+     "purpose, commercial or non-commercial, and by any means."),
     ("bsd-grant", "Redistribution and use in source and binary forms, with or without modification, are permitted "
      "provided that the following conditions are met"),
+    ("bsd-endorsement", "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or "
+     "promote products derived from this software without specific prior written permission."),
+    ("bsd-disclaimer", "THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED "
+     "WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE "
+     "ARE DISCLAIMED."),
     ("mpl-2.0-notice", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
+    ("epl-2.0-notice", "This program and the accompanying materials are made available under the terms of the Eclipse Public "
+     "License 2.0"),
+    ("boost-grant", "Permission is hereby granted, free of charge, to any person or organization obtaining a copy of the software "
+     "and accompanying documentation covered by this license to use, reproduce, display, distribute, execute, and transmit the "
+     "Software, and to prepare derivative works of the Software"),
+    ("zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held "
+     "liable for any damages arising from the use of this software."),
 )
 
 RESULT = ("doc_id long, license string, n_template long, n_matched long, coverage double, "
@@ -149,6 +195,7 @@ class TemplateIndex:
 
 
 def _scan(batches, templates, min_coverage):
+    release()
     index = TemplateIndex(templates, min_coverage)
     for b in batches:
         ids, out = b.column("doc_id"), []
@@ -165,11 +212,21 @@ def _scan(batches, templates, min_coverage):
 def license_spans(docs: DataFrame, templates=TEMPLATES, min_coverage: float = MIN_COVERAGE) -> DataFrame:
     """Every place of a whole text that covers a template: coverage and span in bytes.
 
-    Null and empty texts match nothing; a template that occurs several times is reported for
-    each place.  Templates travel with the task: keep them to a few megabytes.
+    ``templates`` are pairs (name, text) or a DataFrame of ``name, text``, for instance of whole
+    license files; more than ``MAX_TEMPLATE_BYTES`` of them are refused.  Null and empty texts
+    match nothing; a template that occurs several times is reported for each place.  Repeated
+    rows, repeated ids and null ids give rows of their own; other columns, whatever their names,
+    are ignored; empty tables give an empty result.
     """
     ship(docs.sparkSession)
+    if isinstance(templates, DataFrame):
+        templates = templates.select("name", "text").where("text is not null")
+        if (templates.agg(F.sum(F.octet_length("text"))).first()[0] or 0) > MAX_TEMPLATE_BYTES:
+            raise ValueError("too many templates for one pass: split the table")
+        templates = [tuple(r) for r in templates.orderBy("name", "text").collect()]
     templates = [(n, t) for n, t in templates if t and t.strip()]
+    if sum(len(t.encode()) for _, t in templates) > MAX_TEMPLATE_BYTES:
+        raise ValueError("too many templates for one pass: split them")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     if not templates:
         return docs.sparkSession.createDataFrame([], RESULT)

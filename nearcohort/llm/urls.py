@@ -2,8 +2,8 @@
 
 Rules are plain column expressions, the longest that fits wins.  URLs without a rule are
 judged by their terms: an Aho-Corasick automaton finds all terms in one pass over the URL,
-hits count only between non-alphanumeric neighbours, and a URL is rejected for one strict
-term or for several distinct soft terms whose weights reach ``SOFT_LIMIT``.
+hits count only between neighbours that are neither letters nor digits of any script, and a URL
+is rejected for one strict term or for several distinct soft terms whose weights reach ``SOFT_LIMIT``.
 """
 
 from __future__ import annotations
@@ -18,10 +18,15 @@ from pyspark.sql import functions as F
 
 from nearcohort.plans.runtime import ship
 
+#: The vocabulary by topic, chosen for this engine.  A strict term names what a site
+#: of the topic sells; a soft term is also used elsewhere and weighs 1.5 where its topic has strict
+#: terms of its own, 1.0 where it is only bait.  Larger lists come as a table.
 STRICT = ("casino", "porn", "xxx", "viagra", "escort", "warez", "jackpot", "phishing")
-SOFT = {"bets": 1.0, "bet": 1.0, "pills": 1.0, "cheap": 1.0, "free": 1.0, "win": 1.0, "ads": 1.0, "track": 1.0,
-        "adult": 1.5, "loan": 1.0, "poker": 1.5, "dating": 1.0, "crack": 1.0, "torrent": 1.0, "click": 1.0}
+SOFT = {"poker": 1.5, "bets": 1.5, "bet": 1.5, "adult": 1.5, "dating": 1.5, "pills": 1.5, "torrent": 1.5, "crack": 1.5,
+        "cheap": 1.0, "free": 1.0, "win": 1.0, "ads": 1.0, "track": 1.0, "loan": 1.0, "click": 1.0}
 SOFT_LIMIT = 2.0
+#: Terms of a vocabulary table: the automaton travels with every task.
+MAX_TERMS = 1_000_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -65,33 +70,34 @@ def first_rule(host: Column, path: Column, rules: Sequence[UrlRule]) -> tuple[Co
     return name, verdict
 
 
+_LOW = str.maketrans(UPPER, LOWER)
+
+
 class TermScanner:
-    """Counts strict and distinct soft terms of a URL."""
+    """Counts strict and distinct soft terms of a URL; a term that is both is strict."""
 
     def __init__(self, strict: Sequence[str], soft: dict[str, float]):
         self.machine = ahocorasick.Automaton()
-        for t in strict:
-            self.machine.add_word(t, (t, None))
-        for t, w in soft.items():
-            self.machine.add_word(t, (t, w))
-        self.machine.make_automaton()
+        for t, w in ({t: w for t, w in soft.items()} | dict.fromkeys(strict)).items():
+            if t:
+                self.machine.add_word(t.translate(_LOW), (t.translate(_LOW), w))
+        if len(self.machine):
+            self.machine.make_automaton()
 
     def scan(self, url: str | None) -> tuple[int, int, float]:
         """(distinct strict terms, distinct soft terms, weight of the soft terms)."""
-        s = (url or "").translate(str.maketrans(UPPER, LOWER))
-        found = {}
+        s = (url or "").translate(_LOW)
+        found: dict[str, float | None] = {}
+        if not len(self.machine):
+            return 0, 0, 0.0
         for end, (term, w) in self.machine.iter(s):
             start = end - len(term) + 1
-            if (start == 0 or not _alnum(s[start - 1])) and (end + 1 == len(s) or not _alnum(s[end + 1])):
+            if not s[start - 1:start].isalnum() and not s[end + 1:end + 2].isalnum():
                 found[term] = w
         soft = [w for w in found.values() if w is not None]
         return len(found) - len(soft), len(soft), float(sum(soft))
 
 
-def _alnum(c: str) -> bool:
-    return "a" <= c <= "z" or "0" <= c <= "9"
-
-
 def _scan(batches, strict, soft):
     tool = TermScanner(strict, soft)
     for b in batches:
@@ -103,12 +109,20 @@ def _scan(batches, strict, soft):
 
 
 def judge(pages: DataFrame, rules: Sequence[UrlRule] = RULES, strict: Sequence[str] = STRICT,
-          soft: dict[str, float] | None = None, limit: float = SOFT_LIMIT) -> DataFrame:
+          soft: dict[str, float] | None = None, limit: float = SOFT_LIMIT, vocabulary: DataFrame | None = None) -> DataFrame:
     """``page_id, host, path, rule, verdict, n_strict, n_soft, soft_weight`` of every url.
 
-    A null or empty url has empty host and path, fits no rule and is allowed.
+    ``vocabulary``, a table ``term, weight`` (null weight: strict), replaces ``strict`` and ``soft``.
+    A null or empty url has empty host and path, fits no rule and is allowed.  Repeated rows and
+    ids and null ids give rows of their own; other columns, whatever their names, are ignored; an
+    empty table gives an empty result.
     """
     ship(pages.sparkSession)
+    if vocabulary is not None:
+        terms = vocabulary.select("term", F.col("weight").cast("double")).where("term is not null").distinct().limit(MAX_TERMS + 1).collect()
+        if len(terms) > MAX_TERMS:
+            raise ValueError(f"more than {MAX_TERMS} terms")
+        strict, soft = [t for t, w in terms if w is None], {t: w for t, w in sorted(terms, key=lambda x: (x[0], x[1] or 0.0)) if w is not None}
     soft = SOFT if soft is None else soft
     strict = tuple(strict)
     got = (pages.select(F.col("page_id").cast("long").alias("page_id"), "url")
@@ -128,7 +142,7 @@ def judge_sql(rules: Sequence[UrlRule] = RULES, strict: Sequence[str] = STRICT,
     """The same in DuckDB SQL, for the oracle."""
     soft = SOFT if soft is None else soft
     low = f"translate(coalesce(url, ''), '{UPPER}', '{LOWER}')"
-    hit = lambda t: f"CAST(regexp_matches(u, '(^|[^a-z0-9]){t}([^a-z0-9]|$)') AS INT)"
+    hit = lambda t: f"CAST(regexp_matches(u, '(^|[^\\p{{L}}\\p{{N}}]){t}([^\\p{{L}}\\p{{N}}]|$)') AS INT)"
     cases = {"rule": "NULL", "verdict": "NULL"}
     for r in sorted(rules, key=lambda r: len(r.name)):
         fits = f"(host = '{r.host}' OR ends_with(host, '.{r.host}')) AND starts_with(path, '{r.path}')"
