@@ -30,10 +30,10 @@ def test_contamination_equals_brute_force(spark):
         docs.append((i, " ".join(w)))
     want = set()
     for d, t in docs:
-        own = decontaminate.word_shingles(t, 5)
         for i, u in items:
-            q = decontaminate.word_shingles(u, 5)
-            if q and 100 * len(q & own) >= 80 * len(q):
+            k = min(5, len(u.split()))
+            q, own = decontaminate.word_shingles(u, k), decontaminate.word_shingles(t, k)
+            if len(t.split()) >= k and 100 * len(q & own) >= 80 * len(q):
                 want.add((d, i, len(q), len(q & own)))
     got = decontaminate.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
     assert {tuple(x)[:4] for x in got.collect()} == want and len(want) > 20
@@ -42,10 +42,29 @@ def test_contamination_equals_brute_force(spark):
 def test_contamination_edges(spark, weird, nothing):
     items = spark.createDataFrame([(1, None), (2, ""), (3, "one TWO three"), (4, "é à ü 日本 語 ü")], "item_id long, text string")
     got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(weird, items).collect()}
-    assert got == {(4, 3), (5, 3), (9, 4), (10, 4)}
+    assert got == {(4, 3), (5, 3), (6, 3), (7, 3), (9, 4), (10, 4)}
     assert decontaminate.contaminated(nothing, items).count() == 0
     assert decontaminate.contaminated(weird, items.limit(0)).count() == 0
-    assert decontaminate.drop_contaminated(weird, items).count() == 8
+    kept = decontaminate.drop_contaminated(weird, items)
+    assert kept.columns == weird.columns and kept.count() == 6
+    assert decontaminate.drop_contaminated(nothing, items).count() == 0
+
+
+def test_short_items_are_found_inside_documents(spark):
+    docs = spark.createDataFrame([(1, "x y Alpha beta y"), (2, "alpha x beta"), (2, "beta"), (None, "ALPHA BETA"), (3, "alpha")], "doc_id long, text string")
+    items = spark.createDataFrame([(1, "alpha beta"), (2, "beta"), (2, "beta"), (3, "x y alpha beta y z")], "item_id long, text string")
+    got = sorted((r["doc_id"] or 0, r["item_id"]) for r in decontaminate.contaminated(docs, items).collect())
+    assert got == [(0, 1), (0, 2), (0, 2), (1, 1), (1, 2), (1, 2), (2, 2), (2, 2), (2, 2), (2, 2)]
+    left = decontaminate.drop_contaminated(docs, items).collect()
+    assert [tuple(r) for r in left] == [(3, "alpha")]
+
+
+def test_bin_minima_follow_from_shared_bits():
+    r = np.random.default_rng(4)
+    for n in (1, 2, 9, 500):
+        s = np.unique(r.integers(0, 1 << 63, n, np.uint64) >> np.uint64(r.integers(0, 40)))
+        for bits in (3, 8, 20, 40):
+            assert (decontaminate.sketch(s, bits) == (decontaminate.shared_bits(s) < bits)).all()
 
 
 # -- byte-pair encoding -------------------------------------------------------------------------
@@ -136,11 +155,50 @@ def test_texts_that_share_a_digest_are_told_apart(spark, monkeypatch):
     assert got == {1: (1, 1), 2: (2, 2), 3: (2, 2), 4: (4, 2), 5: (4, 2), 6: (6, 1)}
 
 
-def test_index_merges_runs(spark, weird):
-    index = exact_dedup.DigestIndex(Workspace(spark, "lsm"))
-    index.flush(weird.where("doc_id < 6"))
-    index.flush(weird.where("doc_id >= 6"))
-    assert index.compact().agg(F.sum("n")).first()[0] == 11
+def test_rows_are_removed_one_by_one(spark):
+    rows = [(1, "a"), (2, "a"), (1, "b"), (7, "z"), (7, "z"), (None, "z"), (None, "q"), (None, "q"), (9, None), (8, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = exact_dedup.duplicate_groups(docs, "largest").collect()
+    assert len(got) == 10 and all(r["kept"] is not None for r in got)
+    assert sorted((r["doc_id"] or 0, r["keep_id"] or 0, r["group_size"]) for r in got if r["kept"]) == [(0, 0, 2), (1, 1, 1), (2, 2, 2), (7, 7, 3), (9, 9, 2)]
+    for keep, want in (("largest", [(None, "q"), (1, "b"), (2, "a"), (7, "z"), (9, None)]), ("smallest", [(None, "q"), (1, "a"), (1, "b"), (7, "z"), (8, "")])):
+        left = [tuple(r) for r in exact_dedup.drop_duplicates(docs, keep).collect()]
+        assert sorted(left, key=lambda r: (r[0] or 0, r[1] or "")) == want
+
+
+def _log(spark, n, different, memtable):
+    return spark.range(0, n, 1, 3).select(
+        F.col("id"), F.col("id").alias("row"), F.unhex(F.sha2((F.col("id") % different).cast("string").cast("binary"), 256)).alias("digest"),
+        F.floor(F.col("id") / memtable).cast("long").alias("memtable"))
+
+
+def test_index_of_several_runs(spark):
+    log = _log(spark, 3000, 2000, 100)
+    index = exact_dedup.DigestIndex(Workspace(spark, "lsm"), 3000)
+    index.flush(log.where("id < 1500"))
+    index.flush(log.where("id >= 1500"))
+    assert index.runs.select("run").distinct().count() == 2 * exact_dedup.RUNS
+    want = {r["digest"]: (r["a"], r["z"], r["n"]) for r in log.groupBy("digest").agg(F.min("id").alias("a"), F.max("id").alias("z"), F.count("*").alias("n")).collect()}
+    shared = {r["digest"] for r in index.shared().collect()}
+    assert {d for d, w in want.items() if w[2] > 1} <= shared and len(shared) < 1150  # all in several runs, few by chance
+    asked = log.where("id < 50").unionByName(_log(spark, 60, 60, 9).withColumn("digest", F.unhex(F.md5(F.col("id").cast("string")))))
+    found = {r["digest"]: (r["least"]["id"], r["greatest"]["id"], r["n"]) for r in index.look_up(asked).collect()}
+    assert len(found) == 50 and all(want[d] == v for d, v in found.items())
+    level = index.compact().collect()
+    assert {r["digest"]: (r["least"]["id"], r["greatest"]["id"], r["n"]) for r in level} == want and len(level) == 2000
+    assert index.look_up(log).count() == 2000 and index.runs.select("run").distinct().count() == 1
+
+
+def test_groups_across_memtables(spark, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "MEMTABLE_ROWS", 50)
+    docs = spark.range(0, 2000, 1, 3).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 3 == 0, "hot").otherwise((F.col("id") % 700).cast("string")).alias("text"))
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    groups = {}
+    for i, t in texts.items():
+        groups.setdefault(t, []).append(i)
+    for r in exact_dedup.duplicate_groups(docs, "largest").collect():
+        g = groups[texts[r["doc_id"]]]
+        assert (r["keep_id"], r["group_size"], r["kept"]) == (max(g), len(g), r["doc_id"] == max(g))
 
 
 # -- substring dedup --------------------------------------------------------------------------------
