@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass, replace
+from typing import Protocol
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -67,15 +69,32 @@ def check_queries(queries: DataFrame) -> DataFrame:
          for r in rows], QUERIES)
 
 
+class Rule(Protocol):
+    """A constraint of the caller's own, checked inside the task of a query.
+
+    What can be said of a vertex alone is a filter of the graph's vertices (push it down before
+    ``solve``).  ``peel`` is a greatest fixpoint: it must be monotone, so that more edges never keep
+    fewer.  ``accept`` judges a connected part and must stay true when the part grows.  The search
+    then costs the number of tested radii times the dearer of the two checks.
+    """
+
+    def peel(self, edges: set[tuple[int, int]]) -> set[tuple[int, int]]:
+        """The maximal part of the edges (pairs of vertex ids) that the rule keeps."""
+
+    def accept(self, members: set[int]) -> bool:
+        """Does a connected part with these members satisfy the rule?"""
+
+
 @dataclass(frozen=True)
 class Constraints:
     """The constraints of a search besides c, phi and rho of each query.
 
-    ``social``: truss, core or nucleus (level c each).  ``coverage='closed'`` admits query
+    ``social``: truss, core, nucleus (triangles in four-cliques) or nucleus-r-s with 2 <= r < s
+    (r-cliques in s-cliques), at level c each, which a clique of c vertices has.  ``coverage='closed'`` admits query
     keywords only.  ``jaccard``: members need that similarity of ``attrs`` with phi, and the
     keyword minimum is then not asked for.  ``per_keyword`` overrides rho by keyword,
     ``min_size`` is a group's least size.  ``min_influence`` asks each member, ``sum_influence``
-    the group.  All of them are monotone in the radius.
+    the group.  ``rules`` are of the caller's own.  All of them are monotone in the radius.
     """
 
     social: str = "truss"
@@ -86,9 +105,11 @@ class Constraints:
     min_influence: float | None = None
     sum_influence: float | None = None
     metric: str = "euclid"
+    rules: tuple[Rule, ...] = ()
 
     def __post_init__(self):
-        if self.social not in ("truss", "core", "nucleus"):
+        rs = re.fullmatch(r"nucleus-(\d)-(\d)", self.social)
+        if self.social not in ("truss", "core", "nucleus") and not (rs and 2 <= int(rs[1]) < int(rs[2])):
             raise ValueError(f"unknown social constraint {self.social}")
         if self.coverage not in ("open", "closed"):
             raise ValueError(f"unknown coverage {self.coverage}")

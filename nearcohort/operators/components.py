@@ -9,7 +9,7 @@ from __future__ import annotations
 from collections.abc import Sequence
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from nearcohort.plans.runtime import Workspace, ship
@@ -73,8 +73,9 @@ def components(edges: DataFrame, keys: Sequence[str] = (), src: str = "src", dst
         small = (_pairs(hung, keys, F.col("v"), F.col("m"))
                  .unionByName(_pairs(hung, keys, F.col("u"), F.col("m")))
                  .where("u <> v").distinct())
-        nxt = work.save(small, "stars")
-        mark = nxt.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        noted = Observation()  # taken while the stars are written
+        nxt = work.save(small.observe(noted, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")), "stars")
+        mark = noted.get
         work.drop(stars)
         stars = nxt
         if mark == seen:

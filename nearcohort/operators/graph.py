@@ -72,6 +72,24 @@ def triangles(edges: DataFrame, keys: Sequence[str] = ()) -> DataFrame:
     return closed.select(*keys, s[0].alias("a"), s[1].alias("b"), s[2].alias("w"))
 
 
+def cliques(edges: DataFrame, size: int, keys: Sequence[str] = ()) -> DataFrame:
+    """keys + (v0, v1, …), ascending: every clique of ``size`` >= 2 vertices once.
+
+    Triangles come from degree order; a clique grows by a vertex that is joined to all it holds.
+    """
+    keys = list(keys)
+    own = edges.select(*keys, "src", "dst")
+    if size == 2:
+        return own.withColumnsRenamed({"src": "v0", "dst": "v1"})
+    out = triangles(own, keys).withColumnsRenamed({"a": "v0", "b": "v1", "w": "v2"})
+    for n in range(3, size):
+        link = lambda i, n=n: own.withColumnsRenamed({"src": f"v{i}", "dst": f"v{n}"})
+        out = out.join(link(n - 1), [*keys, f"v{n - 1}"])
+        for i in range(n - 1):
+            out = out.join(link(i), [*keys, f"v{i}", f"v{n}"], "left_semi")
+    return out.select(*keys, *[f"v{i}" for i in range(size)])
+
+
 def triangle_sides(tri: DataFrame, keys: Sequence[str] = ()) -> DataFrame:
     """keys + (src, dst): the three sides of every triangle."""
     side = lambda p, q: F.struct(F.col(p).alias("src"), F.col(q).alias("dst"))

@@ -7,6 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from nearcohort.kernels.local_search import nucleus_levels
 from nearcohort.model import Constraints
 from nearcohort.operators.components import components
 from nearcohort.operators.graph import census, meets_minimum
@@ -19,16 +20,23 @@ def social_peel(edges: DataFrame, keys: Sequence[str], social: str = "truss", wo
     """Maximal part of ``edges`` (keys, src, dst, c) that is cohesive at level c; keeps c.
 
     truss: c-2 triangles per edge.  core: c-1 edges per vertex.  nucleus: c-3 four-cliques per
-    triangle.  The levels agree in that a clique of c vertices satisfies each.
+    triangle.  nucleus-r-s: comb(c-r, s-r) s-cliques per r-clique.  The levels agree in that a
+    clique of c vertices satisfies each.
     """
     keys = list(keys)
-    less = {"truss": 2, "core": 1, "nucleus": 3}[social]
+    work = work or Workspace(edges.sparkSession, "social-peel")
+    if social.startswith("nucleus"):
+        r, s = nucleus_levels(social)
+        need, room = F.lit(1), F.greatest(F.col("c") - r, F.lit(0))
+        for i in range(s - r):  # a binomial coefficient, factor by factor
+            need = F.floor(need * F.greatest(room - i, F.lit(0)) / (i + 1))
+        own = edges.select(*keys, "src", "dst", "c")
+        out = nucleus_peel(own.withColumn("need", need.cast("int")), keys, work, kernel_edges=kernel_edges, r=r, s=s)
+        return out.drop("need").join(own, [*keys, "src", "dst"])
+    less = {"truss": 2, "core": 1}[social]
     e = edges.select(*keys, "src", "dst", F.greatest(F.col("c") - less, F.lit(0)).alias("need"))
-    if social == "truss":
-        out = truss_peel(e, keys, work=work, kernel_edges=kernel_edges)
-    else:
-        out = (core_peel if social == "core" else nucleus_peel)(e, keys, work=work, kernel_edges=kernel_edges)
-    return out.withColumn("c", F.col("need") + less).drop("need")
+    peel = truss_peel if social == "truss" else core_peel
+    return peel(e, keys, work=work, kernel_edges=kernel_edges).withColumn("c", F.col("need") + less).drop("need")
 
 
 def label(edges: DataFrame, keys: Sequence[str], work: Workspace, kernel_edges: int = KERNEL_EDGES) -> DataFrame:
@@ -66,9 +74,10 @@ def prune(edges: DataFrame, queries: DataFrame, held: DataFrame, wanted: DataFra
           kernel_edges: int = KERNEL_EDGES, restricted: bool = False) -> DataFrame:
     """(qid, src, dst, c, comp): for each query its maximal cohesive parts that meet the demands.
 
-    Without vertex-local constraints the peel depends on c only and is done once per
-    distinct c (or read from a truss ``index``: src, dst, truss); components and census then
-    run per query.  With them (``restricted``) each query has its own vertices.
+    Without vertex-local constraints the cohesive parts, their components and their keyword
+    counts depend on c only and are found once per distinct c (or read from a truss ``index``: src,
+    dst, truss); a query then only picks its components.  With them (``restricted``) each query
+    has its own vertices.
     """
     cons = cons or Constraints()
     if restricted:
@@ -77,11 +86,27 @@ def prune(edges: DataFrame, queries: DataFrame, held: DataFrame, wanted: DataFra
         for end in ("src", "dst"):
             e = e.join(own.withColumnRenamed("id", end), ["qid", end], "left_semi")
         left = social_peel(e, ["qid"], cons.social, work, kernel_edges)
+        return work.save(qualify(left.select("qid", "src", "dst", "c"), held, wanted, ["qid"], work, cons, kernel_edges), "pruned")
+    if index is not None and cons.social == "truss":
+        by_c = index.join(F.broadcast(queries.select("c").distinct()), F.col("truss") >= F.col("c")).select("src", "dst", "c")
     else:
-        if index is not None and cons.social == "truss":
-            by_c = index.join(F.broadcast(queries.select("c").distinct()), F.col("truss") >= F.col("c")).select("src", "dst", "c")
-        else:
-            e = edges.crossJoin(F.broadcast(queries.select("c").distinct())).withColumn("level", F.col("c"))
-            by_c = social_peel(e, ["level"], cons.social, work, kernel_edges).drop("level")
-        left = by_c.join(F.broadcast(queries.select("qid", "c")), "c")
-    return work.save(qualify(left.select("qid", "src", "dst", "c"), held, wanted, ["qid"], work, cons, kernel_edges), "pruned")
+        e = edges.crossJoin(F.broadcast(queries.select("c").distinct())).withColumn("level", F.col("c"))
+        by_c = social_peel(e, ["level"], cons.social, work, kernel_edges).drop("level")
+    marked = work.save(label(work.save(by_c, "cohesive"), ["c"], work, kernel_edges), "labelled")
+    ids = marked.select("c", "comp", F.explode(F.array("src", "dst")).alias("id")).distinct()
+    one = held.join(F.broadcast(queries.agg(F.min("qid").alias("qid"))), "qid", "left_semi")  # all queries have the same vertices
+    size = ids.join(one.select("id", "influence"), "id", "left").groupBy("c", "comp").agg(
+        F.count("*").alias("size"), F.sum(F.coalesce("influence", F.lit(0.0))).alias("total"))
+    words = F.broadcast(wanted.select("kw").distinct())
+    counts = (ids.join(one.select("id", F.explode("held").alias("kw")).join(words, "kw"), "id")
+              .groupBy("c", "comp", "kw").agg(F.count("*").alias("n")))
+    ok = F.col("size") >= cons.min_size
+    if cons.sum_influence is not None:
+        ok = ok & (F.col("total") >= cons.sum_influence)
+    cand = size.where(ok).select("c", "comp").join(F.broadcast(queries.select("qid", "c")), "c")
+    met = (counts.join(F.broadcast(wanted.join(queries.select("qid", "c"), "qid")), ["c", "kw"]).where("n >= least")
+           .groupBy("qid", "comp").agg(F.count("*").alias("n_met")))
+    want = wanted.groupBy("qid").agg(F.count("*").alias("n_wanted"))
+    good = (cand.join(F.broadcast(want), "qid", "left").join(met, ["qid", "comp"], "left")
+            .where("coalesce(n_met, 0) = coalesce(n_wanted, 0)").select("qid", "c", "comp"))
+    return work.save(marked.join(good, ["c", "comp"]).select("qid", "src", "dst", "c", "comp"), "pruned")

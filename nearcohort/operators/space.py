@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -68,21 +70,29 @@ def cell_index(vertices: DataFrame, low: float = 0.0, high: float = 128.0, bits:
     return vertices.where("x is not null and y is not null").withColumn("cell", cell).repartitionByRange("cell").sortWithinPartitions("cell")
 
 
-def range_cells(queries: DataFrame, radius: str = "r", low: float = 0.0, high: float = 128.0, bits: int = 6) -> DataFrame:
-    """(qid, cell): grid cells that the square about each query's circle touches."""
+def range_cells(queries: DataFrame, radius: str = "r", low: float = 0.0, high: float = 128.0, bits: int = 6,
+                keys: Sequence[str] = ("qid",)) -> DataFrame:
+    """keys + cell: grid cells that the square about each query's circle touches."""
     side, width = 1 << bits, (high - low) / (1 << bits)
     edge = lambda v: F.least(F.greatest(F.floor((v - low) / (high - low) * side), F.lit(0)), F.lit(side - 1))
     r = F.col(radius)
     q = queries.withColumn("cx", F.explode(F.sequence(edge(F.col("qx") - r), edge(F.col("qx") + r)))) \
         .withColumn("cy", F.explode(F.sequence(edge(F.col("qy") - r), edge(F.col("qy") + r))))
-    return q.select("qid", z_cell(low + (F.col("cx") + 0.5) * width, low + (F.col("cy") + 0.5) * width, low, high, bits).alias("cell"))
+    return q.select(*keys, z_cell(low + (F.col("cx") + 0.5) * width, low + (F.col("cy") + 0.5) * width, low, high, bits).alias("cell"))
+
 
+def in_range(indexed: DataFrame, queries: DataFrame, radius: str = "r", metric: str = "euclid", keys: Sequence[str] = ("qid",),
+             **grid) -> DataFrame:
+    """keys + (id, dist) of the vertices within each query's radius: cells first, then exactly.
 
-def in_range(indexed: DataFrame, queries: DataFrame, radius: str = "r", metric: str = "euclid", **grid) -> DataFrame:
-    """(qid, id, dist) of the vertices within each query's radius: cells first, then exactly."""
-    hit = indexed.join(F.broadcast(range_cells(queries, radius, **grid)), "cell")
-    both = hit.join(F.broadcast(queries.select("qid", "qx", "qy", radius)), "qid")
-    return both.withColumn("dist", distance(metric)).where(F.col("dist") <= F.col(radius)).select("qid", "id", "dist")
+    ``keys`` tell the rows of ``queries`` apart.  Degrees are no plane, so haversine takes every cell.
+    """
+    if metric == "euclid":
+        hit = indexed.join(F.broadcast(range_cells(queries, radius, keys=keys, **grid)), "cell")
+        both = hit.join(F.broadcast(queries.select(*keys, "qx", "qy", radius)), list(keys))
+    else:
+        both = indexed.crossJoin(F.broadcast(queries.select(*keys, "qx", "qy", radius)))
+    return both.withColumn("dist", distance(metric)).where(F.col("dist") <= F.col(radius)).select(*keys, "id", "dist")
 
 
 def nearest_vertices(vdist: DataFrame, k: int) -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from nearcohort.kernels import local_search as L
 from nearcohort.model import Constraints, Graph, check_queries
 from nearcohort.operators.space import with_distance
+from nearcohort.operators.truss import truss_decompose
 from nearcohort.plans.runtime import ship
 from nearcohort.plans.solve import Result, solve
 
@@ -65,3 +66,28 @@ def fixed_size_group(graph: Graph, queries: DataFrame, size: int, **options) ->
         return pd.DataFrame(rows, columns=["qid", "member", "dist", "reached"])
 
     return g.groupBy("qid", "group_id").applyInPandas(run, "qid long, member long, dist double, reached boolean")
+
+
+def aggregate_group(graph: Graph, queries: DataFrame, weight: float = 0.5, **options) -> DataFrame:
+    """(qid, c, d, cost, group_id, member, dist): the optimum of one objective over nearness and cohesion.
+
+    The model of works that weigh several aims instead of constraining them: cost is
+    weight * d / (distance of the farthest vertex) - (1 - weight) * c / (greatest trussness).  For a given
+    cohesion c the nearest group is best, so every level of the graph is searched (one batch,
+    keyed by query and level) and the least cost taken, ties by the greater c.
+    """
+    q = check_queries(queries)
+    index = options.pop("index", None)
+    index = truss_decompose(graph.edges) if index is None else index
+    top = index.agg(F.max("truss")).first()[0] or 2
+    levels = F.explode(F.sequence(F.lit(2), F.lit(top))).alias("level")
+    asked = q.select("qid", "qx", "qy", levels).select(
+        (F.col("qid") * (top + 1) + F.col("level")).alias("qid"), "qx", "qy", F.array().cast("array<string>").alias("phi"), F.lit(0).alias("rho"),
+        F.col("level").cast("int").alias("c"))
+    found = solve(graph, asked, index=index, only_first=True, **options).groups
+    far = with_distance(graph.vertices, q, (options.get("constraints") or Constraints()).metric).groupBy("qid").agg(F.max("dist").alias("far"))
+    by = found.withColumns({"c": F.pmod("qid", F.lit(top + 1)).cast("int"), "qid": F.floor(F.col("qid") / (top + 1)).cast("long")}).join(F.broadcast(far), "qid")
+    near = F.when(F.col("far") > 0, F.col("d") / F.col("far")).otherwise(F.lit(0.0))
+    by = by.withColumn("cost", F.round(weight * near - (1 - weight) * F.col("c") / top, 6))
+    best = by.groupBy("qid").agg(F.min_by("c", F.struct("cost", -F.col("c"))).alias("c"))
+    return by.join(F.broadcast(best), ["qid", "c"]).select("qid", "c", "d", "cost", "group_id", "member", "dist")

@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import statistics
 import time
+import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from py4j.protocol import Py4JJavaError
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from nearcohort.model import Graph, check_queries
@@ -14,9 +16,57 @@ from nearcohort.operators.graph import support
 from nearcohort.plans.solve import Result
 
 
-def time_runs(fn: Callable[[], object], n: int = 3) -> dict[str, float]:
-    """Seconds of ``n`` runs: mean, median, p95."""
+def spark_measures(spark: SparkSession, fn: Callable[[], object]) -> dict[str, float]:
+    """What Spark did while ``fn`` ran: seconds, jobs, stages, tasks, bytes shuffled and spilled.
+
+    The jobs are those of a job group of their own; stages that were skipped count as none.
+    """
+    sc, group = spark.sparkContext, f"measure-{uuid.uuid4().hex}"
+    began = time.perf_counter()
+    sc.setJobGroup(group, "measured")
+    try:
+        fn()
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    took = time.perf_counter() - began
+    sc._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    tracker, store = sc.statusTracker(), sc._jsc.sc().statusStore()
+    jobs = tracker.getJobIdsForGroup(group)
+    out = {"seconds": round(took, 3), "jobs": len(jobs), "stages": 0, "tasks": 0, "shuffle_bytes": 0, "spill_bytes": 0}
+    stages = {s for j in jobs if (info := tracker.getJobInfo(j)) for s in info.stageIds}
+    for s in stages:
+        try:
+            data = store.lastStageAttempt(s)
+        except Py4JJavaError:
+            continue  # no longer kept
+        if data.numCompleteTasks():
+            out["stages"] += 1
+            out["tasks"] += data.numCompleteTasks()
+            out["shuffle_bytes"] += data.shuffleWriteBytes()
+            out["spill_bytes"] += data.diskBytesSpilled()
+    return out
+
+
+def stage_cost(result: Result, delta: float) -> DataFrame:
+    """(qid, cost, last, factor, bound, ok): cost of growth against one check of its last radius.
+
+    A check of E edges costs E^1.5.  Radii that grow by delta in edges make the sum at most
+    1 + 1/(delta^1.5 - 1) times the last check (``ok``), and the last holds less than delta times the
+    edges of the optimum (more by its class of ties), hence ``bound`` = 1 + delta^1.5 + 1/(delta^1.5 - 1)
+    over a check at the optimum.
+    """
+    r = result.rounds.withColumn("one", F.pow("edges", F.lit(1.5)))
+    f = delta**1.5
+    g = r.groupBy("qid").agg(F.round(F.sum("one"), 6).alias("cost"), F.round(F.max("one"), 6).alias("last"), F.count("*").alias("n"))
+    return g.select("qid", "cost", "last", F.round(F.col("cost") / F.col("last"), 6).alias("factor"),
+                    F.lit(round(1 + f + 1 / (f - 1), 6)).alias("bound"), (F.col("cost") <= (1 + 1 / (f - 1)) * F.col("last") + 1e-6).alias("ok"))
+
+
+def time_runs(fn: Callable[[], object], n: int = 3, warm: int = 0) -> dict[str, float]:
+    """Seconds of ``n`` runs: mean, median, p95; ``warm`` runs before them are not counted."""
     took = []
+    for _ in range(warm):
+        fn()
     for _ in range(n):
         a = time.perf_counter()
         fn()

@@ -15,7 +15,7 @@ import tempfile
 import uuid
 import zipfile
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows below which a side of narrow rows (a few longs) may be broadcast.
@@ -86,6 +86,12 @@ class Workspace:
         back._workspace_path = where
         return back
 
+    def save_count(self, df: DataFrame, name: str) -> tuple[DataFrame, int]:
+        """``save`` and the number of rows, counted while they are written."""
+        seen = Observation()
+        back = self.save(df.observe(seen, F.count(F.lit(1)).alias("n")), name)
+        return back, int(seen.get["n"])
+
     def drop(self, df: DataFrame | None) -> None:
         """Remove a saved table that nothing reads any more."""
         where = getattr(df, "_workspace_path", None)

@@ -1,14 +1,14 @@
 """Nearest qualifying groups for a batch of queries.
 
 Every step carries ``qid``, so a workload costs the rounds of its slowest query.  A query
-whose pruned graph is small is searched whole inside one grouped task; a larger one goes
-through distributed rounds until its candidate is small.
+whose pruned graph is small is searched whole inside one grouped task; a larger one of the same
+batch goes through distributed rounds until its candidate is small.  Every method has both forms.
 """
 
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -18,15 +18,20 @@ from nearcohort.functions.geo import distance
 from nearcohort.kernels import local_search as L
 from nearcohort.model import GROUP_EDGES, GROUPS, ROUNDS, Constraints, Graph, check_queries, demands, push_vertices
 from nearcohort.operators.components import components
-from nearcohort.operators.graph import census, meets_minimum
+from nearcohort.operators.graph import census, induce, meets_minimum, merge_census
 from nearcohort.operators.qualify import prune, qualify, social_peel
-from nearcohort.operators.space import next_radius, radius_steps
+from nearcohort.operators.space import cell_index, in_range, next_radius, radius_steps
 from nearcohort.operators.truss import KERNEL_EDGES, truss_peel
 from nearcohort.plans.runtime import Workspace, ship
 
 METHODS = ("two_phase", "two_phase_plain", "nearest_insert", "farthest_peel", "radius_bisect", "all_radii")
 SEEDS = ("kruskal", "forest", "bisect", "degree", "relax_keyword", "none")
 CHECKS = ("full", "update", "lazy", "incremental")
+#: Radii that one round of a distributed bisection or sweep tests at once: a round's latency
+#: counts more than the smaller ones of its tests.
+FAN = 8
+#: Edges of one part of a query's spanning forest.
+FOREST_EDGES = 200_000
 
 
 @dataclass
@@ -57,8 +62,16 @@ class _Job:
     ledger: DataFrame = None
     pruned: DataFrame = None
     steps: DataFrame = None
+    spatial: str = "none"
+    cells: DataFrame = None
     log: list = field(default_factory=list)
 
+    def only(self, qids: list[int]) -> _Job:
+        """The same job for some of its queries."""
+        keep = lambda df: df if df is None else df.where(F.col("qid").isin(qids))
+        return replace(self, queries=keep(self.queries), held=keep(self.held), wanted=keep(self.wanted), vdist=keep(self.vdist),
+                       pruned=keep(self.pruned), ledger=None, steps=None, log=[])
+
 
 def _prepare(graph, queries, cons, work, kernel_edges, preprune, index) -> _Job:
     q = check_queries(queries)
@@ -105,7 +118,7 @@ def _kernel(job: _Job, edges: DataFrame, start: str, method: str, options: dict)
     w = job.wanted.select("qid", F.lit("w").alias("t"), F.col("least").cast("long").alias("a"), F.lit(0).cast("long").alias("b"),
                           F.lit(0.0).alias("dist"), F.array("kw").alias("words"), F.lit(0.0).alias("influence"), F.lit(0).alias("c"))
     tagged = v.unionByName(e).unionByName(w)
-    min_size, sum_influence, social = cons.min_size, cons.sum_influence, cons.social
+    min_size, sum_influence, social, rules = cons.min_size, cons.sum_influence, cons.social, cons.rules
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         columns = [x.split()[0] for x in _ROWS.split(", ")]
@@ -122,7 +135,7 @@ def _kernel(job: _Job, edges: DataFrame, start: str, method: str, options: dict)
         pairs = [(min(at[a], at[b]), max(at[a], at[b])) for a, b in zip(edg["a"].tolist(), edg["b"].tolist(), strict=True)]
         weight = ver["influence"].tolist() if sum_influence is not None else None
         p = L.Problem(ids, ver["dist"].tolist(), hold, pairs, [int(x) for x in want["a"]], int(edg["c"].iloc[0]), min_size,
-                      weight, sum_influence or 0.0, social)
+                      weight, sum_influence or 0.0, social, rules)
         if start == "trim":
             ans = L.Answer()
             ans.d, ans.edges = L.trim(p, p.edges, ans, options.get("trim", "forest"))
@@ -159,36 +172,41 @@ def _feasible(job: _Job, edges: DataFrame, keys=("qid",)) -> DataFrame:
     return job.work.save(qualify(left, job.held, job.wanted, keys, job.work, job.cons, job.kernel_edges), "feasible")
 
 
-def spanning_forest(ledger: DataFrame, work: Workspace, fan_in: int = 8) -> DataFrame:
+def spanning_forest(ledger: DataFrame, work: Workspace, fan_in: int = 8, part_edges: int = FOREST_EDGES) -> DataFrame:
     """(qid, src, dst, ed) of the minimum spanning forests by distance.
 
-    Each task reduces its edges to a forest, then forests are merged: an edge that is the
-    farthest of a cycle within a part is dispensable in the whole.  Forests of one query
-    have fewer edges than it has vertices.
+    Each task reduces its edges to a forest, then the forests of a query are merged part by part:
+    an edge that is the farthest of a cycle within a part is dispensable in the whole.  The
+    number of parts falls by ``fan_in`` until every query has one; a forest has fewer edges than
+    the query has vertices.
     """
     ship(work.spark)
-
-    def reduce_part(it):
-        held: dict[int, list] = {}
-        for pdf in it:
-            for q, s, t, d in pdf[["qid", "src", "dst", "ed"]].itertuples(index=False):
-                held.setdefault(q, []).append((d, s, t))
-            for q, es in held.items():
-                if len(es) > 200_000:
-                    held[q] = _forest(es)
-        rows = [(q, s, t, d) for q, es in held.items() for d, s, t in _forest(es)]
-        yield pd.DataFrame(rows, columns=["qid", "src", "dst", "ed"])
-
-    kind = "qid long, src long, dst long, ed double"
-    part = work.save(ledger.select("qid", "src", "dst", "ed").mapInPandas(reduce_part, kind), "forest")
-    n = max(1, ledger.sparkSession.sparkContext.defaultParallelism)
-    while n > 1:
+    kind = "qid long, part long, src long, dst long, ed double"
+
+    def reduced(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["ed", "src", "dst"], ignore_index=True)
+        return pdf[_forest_mask(pdf["src"].to_numpy(), pdf["dst"].to_numpy())]
+
+    def first(batches):
+        for pdf in batches:
+            for _, one in pdf.groupby("qid"):
+                yield reduced(one)
+
+    edges = ledger.select("qid", F.lit(0).cast("long").alias("part"), "src", "dst", "ed")
+    part = work.save(edges.mapInPandas(first, kind), "forest")
+    most = part.groupBy("qid").count().agg(F.max("count")).first()[0] or 0
+    n = -(-most // part_edges)
+    while True:
+        n = max(1, n)
+        dealt = part.withColumn("part", F.pmod(F.xxhash64("src", "dst"), F.lit(n)))
+        part = work.save(dealt.groupBy("qid", "part").applyInPandas(reduced, kind), "forest")
+        if n == 1:
+            return part.drop("part")
         n = -(-n // fan_in)
-        part = work.save(part.repartition(n, "qid").mapInPandas(reduce_part, kind), "forest")
-    return part
 
 
-def _forest(es):
+def _forest_mask(src, dst) -> list[bool]:
+    """Which of the sorted edges join two trees."""
     up: dict = {}
 
     def find(v):
@@ -197,11 +215,11 @@ def _forest(es):
         return v
 
     out = []
-    for d, s, t in sorted(es):
+    for s, t in zip(src.tolist(), dst.tolist(), strict=True):
         a, b = find(s), find(t)
         if a != b:
             up[a] = b
-            out.append((d, s, t))
+        out.append(a != b)
     return out
 
 
@@ -229,7 +247,7 @@ def seed_radius(job: _Job, method: str = "forest") -> DataFrame:
     if method == "bisect":
         part = _Job(job.graph, job.queries.withColumn("c", F.lit(2)), Constraints(min_size=job.cons.min_size), job.work,
                     job.kernel_edges, job.held, job.wanted, job.vdist, edges.withColumn("c", F.lit(2)), job.pruned,
-                    radius_steps(edges))
+                    job.work.save(radius_steps(edges), "steps"))
         return _bisect(part)[1].select("qid", "d")
     rows = _seed_kernel(job, edges, method)
     return rows.select("qid", "d")
@@ -262,32 +280,126 @@ def _seed_kernel(job: _Job, edges: DataFrame, method: str) -> DataFrame:
     return job.work.save(v.unionByName(e).unionByName(w).groupBy("qid").applyInPandas(run, "qid long, d double"), "seeds")
 
 
+def _probe(job: _Job, at: DataFrame) -> DataFrame:
+    """(qid, step, src, dst, c): the edges within each radius of ``at`` (qid, step, r)."""
+    if job.spatial == "none":
+        return job.ledger.join(F.broadcast(at), "qid").where("ed <= r").select("qid", "step", "src", "dst", "c")
+    # by the spatial index: cells that touch a circle, exact distances, induced edges
+    if job.cells is None:
+        job.cells = job.work.save(cell_index(job.graph.vertices.select("id", "x", "y"), **_grid(job)), "cells")
+    near = in_range(job.cells, at.join(job.queries.select("qid", "qx", "qy"), "qid"), metric=job.cons.metric, keys=("qid", "step"), **_grid(job))
+    ids = job.work.save(near.join(job.held.select("qid", "id"), ["qid", "id"], "left_semi").select("qid", "step", "id"), "in-range")
+    edges = job.pruned.select("qid", "src", "dst", "c").join(F.broadcast(at.select("qid", "step")), "qid")
+    return induce(edges, ids, ["qid", "step"])
+
+
+def _grid(job: _Job) -> dict:
+    """The square that the cells divide."""
+    x = job.graph.vertices.agg(F.min(F.least("x", "y")), F.max(F.greatest("x", "y"))).first()
+    low, high = x[0] if x[0] is not None else 0.0, x[1] if x[1] is not None else 1.0
+    return {"low": float(low), "high": float(max(high, low + 1e-6))}
+
+
+def _test(job: _Job, wanted: dict[int, list[int]], number: int) -> tuple[DataFrame, dict[int, set[int]]]:
+    """Check the given steps of every query at once: (qualifying edges with step and comp, steps that hold)."""
+    rows = [(q, s) for q, steps in wanted.items() for s in steps]
+    at = F.broadcast(job.work.spark.createDataFrame(rows, "qid long, step long"))
+    r = job.work.save(job.steps.join(at, ["qid", "step"]).select("qid", F.col("step").cast("long").alias("step"), F.col("ed").alias("r"), "upto"), "radii")
+    ok = _feasible(job, _probe(job, r.select("qid", "step", "r")), ("qid", "step"))
+    held: dict[int, set[int]] = {}
+    for x in ok.select("qid", "step").distinct().collect():
+        held.setdefault(x["qid"], set()).add(x["step"])
+    for x in r.orderBy("qid", "step").collect():
+        job.log.append((x["qid"], number, x["r"], x["upto"], x["upto"], x["upto"], 0, 0, 0, x["step"] in held.get(x["qid"], ())))
+    return ok, held
+
+
+class _Best:
+    """The nearest step known to hold for each query, with its edges."""
+
+    def __init__(self, job: _Job):
+        self.job, self.at, self.edges = job, {}, []
+
+    def note(self, ok: DataFrame, held: dict[int, set[int]]) -> None:
+        new = [(q, min(steps)) for q, steps in held.items() if min(steps) < self.at.get(q, 1 << 62)]
+        if new:
+            self.at.update(new)
+            self.edges = [e.where(~F.col("qid").isin([q for q, _ in new])) for e in self.edges]
+            mine = self.job.work.spark.createDataFrame(new, "qid long, step long")
+            self.edges.append(ok.join(F.broadcast(mine), ["qid", "step"], "left_semi"))
+
+    def result(self) -> tuple[DataFrame, DataFrame]:
+        """(edges with comp, (qid, d)) of all queries that have an answer."""
+        job, out = self.job, None
+        for e in self.edges:
+            e = e.select("qid", "src", "dst", "c", "comp")
+            out = e if out is None else out.unionByName(e)
+        if out is None:
+            out = job.work.spark.createDataFrame([], "qid long, src long, dst long, c int, comp long")
+        at = F.broadcast(job.work.spark.createDataFrame(list(self.at.items()), "qid long, step long"))
+        radius = job.work.save(job.steps.join(at, ["qid", "step"]).select("qid", F.col("ed").alias("d")), "optimum")
+        return job.work.save(out, "found"), radius
+
+
+def _ends(job: _Job) -> dict[int, int]:
+    """The number of steps of each query."""
+    return {r["qid"]: r["n"] for r in work_steps(job).groupBy("qid").agg(F.count("*").alias("n")).collect()}
+
+
 def _bisect(job: _Job, low: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-    """Least feasible radius per query by bisection over its steps; (edges with comp, (qid, d)).
+    """Least feasible radius per query by division of its steps; (edges with comp, (qid, d)).
+
+    Each round tests ``FAN`` - 1 steps of every open query at once.  ``low`` (qid, lo, hi) bounds the
+    steps: hi is known to be feasible or one past the last.
+    """
+    ends, best, number = _ends(job), _Best(job), 0
+    state = {r["qid"]: (r["lo"], r["hi"]) for r in low.collect()} if low is not None else {q: (0, n) for q, n in ends.items()}
+    while open_ := {q: (lo, hi) for q, (lo, hi) in state.items() if lo < hi}:
+        ask = {}
+        for q, (lo, hi) in open_.items():
+            n = min(FAN - 1, hi - lo)
+            ask[q] = sorted({lo + (hi - lo) * (i + 1) // (n + 1) for i in range(n)} if hi - lo > n else set(range(lo, hi)))
+        ok, held = _test(job, ask, number)
+        best.note(ok, held)
+        for q, (lo, hi) in open_.items():
+            good = held.get(q, set())
+            failed = [x for x in ask[q] if x not in good]
+            state[q] = (max([lo, *(x + 1 for x in failed)]), min([hi, *good]))
+        number += 1
+    rest = {q: [lo] for q, (lo, _) in state.items() if q not in best.at and lo < ends.get(q, 0)}
+    if rest:  # known to be feasible from before
+        best.note(*_test(job, rest, number))
+    return best.result()
+
+
+def _sweep(job: _Job, outward: bool) -> tuple[DataFrame, DataFrame]:
+    """The single-vertex baselines over distributed rounds; (edges with comp, (qid, d)).
 
-    ``low`` (qid, lo, hi) bounds the steps: hi is feasible or one past the last.
+    Outward, vertices enter one distance at a time, nearest first, and each radius has a whole
+    check until one holds.  Inward, the farthest distance goes from what is left of the whole
+    until nothing qualifies.  A round does this for ``FAN`` consecutive distances of every query.
     """
-    work, steps = job.work, work_steps(job)
-    ends = steps.groupBy("qid").agg((F.max("step") + 1).alias("hi")).select("qid", F.lit(0).cast("long").alias("lo"), F.col("hi").cast("long"))
-    state = {r["qid"]: (r["lo"], r["hi"]) for r in (low if low is not None else ends).collect()}
-    spark, number = work.spark, 0
-    best: dict[int, int] = {}
-    while open_ := {q: (lo + hi) // 2 for q, (lo, hi) in state.items() if lo < hi}:
-        at = F.broadcast(spark.createDataFrame(list(open_.items()), "qid long, step long"))
-        r = steps.join(at, ["qid", "step"]).select("qid", F.col("ed").alias("r"), "upto")
-        probe = job.ledger.join(F.broadcast(r.select("qid", "r")), "qid").where("ed <= r").select("qid", "src", "dst", "c")
-        found = {x["qid"] for x in _feasible(job, probe).select("qid").distinct().collect()}
-        for x in r.collect():
-            job.log.append((x["qid"], number, x["r"], x["upto"], x["upto"], x["upto"], 0, 0, 0, x["qid"] in found))
-        for q, m in open_.items():
-            state[q] = (state[q][0], m) if q in found else (m + 1, state[q][1])
+    ends, best, number = _ends(job), _Best(job), 0
+    if outward:
+        at = dict.fromkeys(ends, 0)
+        while open_ := {q: list(range(i, min(i + FAN, ends[q]))) for q, i in at.items() if i < ends[q] and q not in best.at}:
+            best.note(*_test(job, open_, number))
+            at, number = {q: i + FAN for q, i in at.items()}, number + 1
+        return best.result()
+    whole, held = _test(job, {q: [n - 1] for q, n in ends.items()}, number)
+    best.note(whole, held)
+    at = {q: ends[q] - 1 for q in held}
+    while at := {q: i for q, i in at.items() if i > 0}:
         number += 1
-    for q, (lo, _) in state.items():
-        best[q] = lo
-    at = spark.createDataFrame(list(best.items()), "qid long, step long")
-    radius = work.save(steps.join(F.broadcast(at), ["qid", "step"]).select("qid", F.col("ed").alias("d")), "optimum")
-    probe = job.ledger.join(F.broadcast(radius), "qid").where("ed <= d").select("qid", "src", "dst", "c")
-    return _feasible(job, probe), radius
+        # what fell with a farther distance never comes back
+        left = best.result()[0].select("qid", "src", "dst")
+        job.ledger = job.work.save(job.ledger.join(left, ["qid", "src", "dst"], "left_semi"), "left")
+        ask = {q: list(range(max(0, i - FAN), i)) for q, i in at.items()}
+        ok, held = _test(job, ask, number)
+        best.note(ok, held)
+        # a query goes on if all of its distances could be dropped
+        at = {q: ask[q][0] for q in at if len(held.get(q, ())) == len(ask[q])}
+    return best.result()
 
 
 def work_steps(job: _Job) -> DataFrame:
@@ -296,29 +408,65 @@ def work_steps(job: _Job) -> DataFrame:
     return job.steps
 
 
+class _Parts:
+    """Connected parts of growing edge sets with their keyword counts, both kept up to date:
+    new edges contract the labels that they join, and the counts of these parts are added up."""
+
+    def __init__(self, job: _Job):
+        self.job, self.label, self.counts = job, None, None
+
+    def add(self, new: DataFrame) -> None:
+        """Take in edges (qid, src, dst)."""
+        job, work = self.job, self.job.work
+        if self.label is None:
+            self.label = work.save(components(new, ["qid"], work=work, kernel_edges=job.kernel_edges), "labels")
+            self.counts = work.save(census(self.label, job.held, job.wanted), "census")
+            return
+        label, root, fresh = contract(self.label, new, work, job.kernel_edges)
+        self.label = work.save(label, "labels")
+        moved = lambda c: c.join(root, ["qid", "comp"], "left").withColumn("comp", F.coalesce("root", "comp")).drop("root")
+        self.counts = work.save(merge_census(moved(self.counts), moved(census(fresh, job.held, job.wanted))), "census")
+
+    def good(self) -> DataFrame:
+        """(qid, comp) of the parts that hold the keywords; of queries that want none, all."""
+        job = self.job
+        free = job.queries.select("qid").join(F.broadcast(job.wanted.select("qid").distinct()), "qid", "left_anti")
+        return meets_minimum(self.counts, job.wanted).unionByName(self.label.join(F.broadcast(free), "qid", "left_semi").select("qid", "comp").distinct())
+
+    def keep(self, edges: DataFrame) -> DataFrame:
+        """Those of ``edges`` that lie in such parts, with ``comp``."""
+        at = self.label.join(self.good(), ["qid", "comp"], "left_semi")
+        return edges.join(at.withColumnRenamed("id", "src"), ["qid", "src"])
+
+
+def _sizes(frames: dict[str, DataFrame]) -> dict[tuple[str, int], tuple[int, int]]:
+    """Edges and vertices of each query in each frame, by one job."""
+    both = None
+    for name, df in frames.items():
+        e = df.select(F.lit(name).alias("name"), "qid", F.explode(F.array("src", "dst")).alias("id"))
+        both = e if both is None else both.unionByName(e)
+    got = both.groupBy("name", "qid", "id").agg(F.count("*").alias("k")).groupBy("name", "qid").agg(F.sum("k").alias("k"), F.count("*").alias("v"))
+    return {(r["name"], r["qid"]): (r["k"] // 2, r["v"]) for r in got.collect()}
+
+
 def grow(job: _Job, delta: float, seed: str, check: str, pool: str) -> tuple[DataFrame, dict[int, tuple[int, int]]]:
     """Distributed growth: edges of the first qualifying trusses per query, and the steps
     (last that failed + 1, first that held) that bracket the optimum."""
     work, steps, spark = job.work, work_steps(job), job.work.spark
     seeds = work.save(seed_radius(job, seed), "seeds")
-    now = steps.join(F.broadcast(seeds), "qid").where("ed = d").select("qid", "ed", "step", "upto")
+    now = steps.join(F.broadcast(seeds), "qid").where("ed = d").select("qid", "ed", "step", "upto", F.lit(-1.0).alias("before"))
     now, number, found_all, bracket = work.save(now, "radius"), 0, None, {}
     pool_edges = spark.createDataFrame([], "qid long, src long, dst long")
-    label = None
+    parts, known = _Parts(job), _Parts(job)
+    counted_only = job.cons.min_size <= 2 and job.cons.sum_influence is None
     last: dict[int, int] = {}
-    came = F.lit(-1.0)
     while rows := now.collect():
-        r = F.broadcast(now.select("qid", F.col("ed").alias("r")))
-        edges = work.save(job.ledger.join(r, "qid").where("ed <= r").select("qid", "src", "dst", "c", "ed"), "within")
+        r = F.broadcast(now.select("qid", F.col("ed").alias("r"), "before"))
+        edges = work.save(job.ledger.join(r, "qid").where("ed <= r").select("qid", "src", "dst", "c", (F.col("ed") > F.col("before")).alias("new")), "within")
         part = edges
         if check in ("lazy", "incremental"):
-            label = _relabel(job, label, edges, came)
-            ids = label.select("qid", "id", "comp")
-            good = meets_minimum(census(ids, job.held, job.wanted), job.wanted)
-            free = ids.select("qid", "comp").distinct().join(F.broadcast(job.wanted.select("qid").distinct()), "qid", "left_anti")
-            part = edges.join(ids.withColumnRenamed("id", "src"), ["qid", "src"]).join(
-                good.unionByName(free), ["qid", "comp"], "left_semi")
-            part = work.save(part.select("qid", "src", "dst", "c"), "potential")
+            parts.add(edges.where("new").select("qid", "src", "dst"))
+            part = work.save(parts.keep(edges).select("qid", "src", "dst", "c"), "potential")
         todo = part
         if check in ("full", "lazy"):
             found = _feasible(job, part.select("qid", "src", "dst", "c"))
@@ -328,70 +476,65 @@ def grow(job: _Job, delta: float, seed: str, check: str, pool: str) -> tuple[Dat
             base = part.select("qid", "src", "dst", (F.col("c") - 2).alias("need"))
             if pool == "induced" and check == "incremental":
                 ends = todo.select("qid", F.explode(F.array("src", "dst")).alias("id")).distinct()
-                for end in ("src", "dst"):
-                    base = base.join(ends.withColumnRenamed("id", end), ["qid", end], "left_semi")
-                new = truss_peel(base, ["qid"], None, work, job.kernel_edges)
+                peeled = truss_peel(induce(base, ends, ["qid"]), ["qid"], None, work, job.kernel_edges)
+                peeled = peeled.join(pool_edges, ["qid", "src", "dst"], "left_anti")
             else:
-                new = truss_peel(base, ["qid"], own, work, job.kernel_edges)
-            pool_edges = work.save(pool_edges.unionByName(new.select("qid", "src", "dst")).distinct(), "pool")
+                peeled = truss_peel(base, ["qid"], own, work, job.kernel_edges)
+            new = work.save(peeled.select("qid", "src", "dst"), "new-in-pool")
+            pool_edges = work.save(pool_edges.unionByName(new), "pool")
             mine = pool_edges.join(F.broadcast(now.select("qid")), "qid", "left_semi").join(F.broadcast(job.queries.select("qid", "c")), "qid")
-            found = work.save(qualify(mine, job.held, job.wanted, ["qid"], work, job.cons, job.kernel_edges), "found")
+            if check == "incremental" and counted_only:
+                known.add(new)
+                found = work.save(known.keep(mine), "found")
+            else:
+                found = work.save(qualify(mine, job.held, job.wanted, ["qid"], work, job.cons, job.kernel_edges), "found")
             if pool == "induced":  # a last no of this pool is not believed
                 ended = work.save(now.join(steps.groupBy("qid").agg(F.max("step").alias("end")), "qid").where("step = end").select("qid"), "ended")
                 again = ended.join(found.select("qid").distinct(), "qid", "left_anti")
                 if not again.isEmpty():
                     found = found.unionByName(_feasible(job, part.join(F.broadcast(again), "qid", "left_semi").select("qid", "src", "dst", "c"))
                                               .select(*found.columns))
-        sizes = {}
-        for name, df in (("edges", edges), ("potential", part), ("peeled", todo)):
-            v = F.explode(F.array("src", "dst"))
-            n = df.groupBy("qid").count().join(df.select("qid", v.alias("id")).groupBy("qid").agg(F.count_distinct("id").alias("v")), "qid")
-            sizes[name] = {x["qid"]: (x["count"], x["v"]) for x in n.collect()}
+        sizes = _sizes({"edges": edges, "potential": part, "peeled": todo})
         done = {x["qid"] for x in found.select("qid").distinct().collect()}
         for x in rows:
             q = x["qid"]
-            e, p, t = (sizes[k].get(q, (0, 0)) for k in ("edges", "potential", "peeled"))
+            e, p, t = (sizes.get((k, q), (0, 0)) for k in ("edges", "potential", "peeled"))
             job.log.append((q, number, x["ed"], e[0], p[0], t[0], e[1], p[1], t[1], q in done))
             if q in done:
                 bracket[q] = (last.get(q, 0), x["step"])
             last[q] = x["step"] + 1
         hit = found.select("qid", "src", "dst", "c")
         found_all = hit if found_all is None else found_all.unionByName(hit)
-        open_ = [(x["qid"], x["upto"]) for x in rows if x["qid"] not in done]
+        open_ = [(x["qid"], x["upto"], x["ed"]) for x in rows if x["qid"] not in done]
         if not open_:
             break
-        state = spark.createDataFrame(open_, "qid long, upto long")
-        came = {x["qid"]: x["ed"] for x in rows}
-        came = F.create_map(*[F.lit(y) for kv in came.items() for y in kv])[F.col("qid")]
-        now = work.save(next_radius(steps, state, delta), "radius")
+        state = spark.createDataFrame(open_, "qid long, upto long, before double")
+        now = work.save(next_radius(steps, state, delta).join(F.broadcast(state.select("qid", "before")), "qid"), "radius")
         number += 1
     if found_all is None:
         found_all = spark.createDataFrame([], "qid long, src long, dst long, c int")
     return found_all, bracket
 
 
-def _relabel(job: _Job, label: DataFrame | None, edges: DataFrame, came) -> DataFrame:
-    """Component labels after new edges: only the labels that new edges join are contracted."""
-    work = job.work
-    if label is None:
-        return work.save(components(edges, ["qid"], work=work, kernel_edges=job.kernel_edges), "labels")
-    new = edges.where(F.col("ed") > came).select("qid", "src", "dst")
-    return work.save(merge_components(label, new, work, job.kernel_edges), "labels")
-
-
-def merge_components(label: DataFrame, new: DataFrame, work: Workspace, kernel_edges: int = KERNEL_EDGES) -> DataFrame:
-    """Labels (qid, id, comp) after uniting along ``new`` (qid, src, dst)."""
+def contract(label: DataFrame, new: DataFrame, work: Workspace, kernel_edges: int = KERNEL_EDGES) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Unite labels (qid, id, comp) along ``new`` (qid, src, dst): (labels, (qid, comp, root), labels of new vertices)."""
     ends = new
     for end in ("src", "dst"):
         ends = (ends.join(label.select("qid", F.col("id").alias(end), F.col("comp").alias(f"c_{end}")), ["qid", end], "left")
                 .withColumn(f"c_{end}", F.coalesce(f"c_{end}", end)))
     ends = work.save(ends, "new-ends")
-    root = work.save(components(ends.select("qid", F.col("c_src").alias("src"), F.col("c_dst").alias("dst")), ["qid"], work=work, kernel_edges=kernel_edges), "roots")
-    root = root.select("qid", F.col("id").alias("comp"), F.col("comp").alias("root"))
+    root = components(ends.select("qid", F.col("c_src").alias("src"), F.col("c_dst").alias("dst")), ["qid"], work=work, kernel_edges=kernel_edges)
+    root = work.save(root.select("qid", F.col("id").alias("comp"), F.col("comp").alias("root")), "roots")
     fresh = (ends.select("qid", F.explode(F.array("src", "dst")).alias("id")).distinct()
-             .join(label.select("qid", "id"), ["qid", "id"], "left_anti").withColumn("comp", F.col("id")))
-    return (label.unionByName(fresh.select("qid", "id", "comp")).join(root, ["qid", "comp"], "left")
+             .join(label.select("qid", "id"), ["qid", "id"], "left_anti").withColumn("comp", F.col("id")).select("qid", "id", "comp"))
+    both = (label.unionByName(fresh).join(root, ["qid", "comp"], "left")
             .select("qid", "id", F.coalesce("root", "comp").alias("comp")))
+    return both, root, fresh
+
+
+def merge_components(label: DataFrame, new: DataFrame, work: Workspace, kernel_edges: int = KERNEL_EDGES) -> DataFrame:
+    """Labels (qid, id, comp) after uniting along ``new`` (qid, src, dst)."""
+    return contract(label, new, work, kernel_edges)[0]
 
 
 def _finish(job: _Job, edges: DataFrame, radius: DataFrame):
@@ -405,77 +548,99 @@ def _finish(job: _Job, edges: DataFrame, radius: DataFrame):
 
 def solve(graph: Graph, queries: DataFrame, method: str = "two_phase", *, delta: float = 2.0, seed: str = "forest",
           check: str = "incremental", pool: str = "anchored", trim: str = "auto", preprune: bool = True,
-          constraints: Constraints | None = None, index: DataFrame | None = None, engine: str = "auto",
+          constraints: Constraints | None = None, index: DataFrame | None = None, spatial: str = "none", engine: str = "auto",
           kernel_edges: int = KERNEL_EDGES, only_first: bool = False, work: Workspace | None = None) -> Result:
     """All nearest qualifying groups of every query.
 
     Queries without an answer have no rows in ``groups``.  ``engine``: ``kernel`` searches each
-    query in one task, ``rounds`` over distributed rounds, ``auto`` decides by the size of
-    the pruned graphs.  ``trim``: forest and traverse in a task, banded by bisection in
-    rounds, auto by size.  ``only_first`` keeps the group of least id.
+    query in one task, ``rounds`` over distributed rounds, ``auto`` decides for each query by the
+    edges of its pruned graph.  ``trim``: forest and traverse in a task, banded by division of the
+    radii in rounds, auto by size.  ``index`` is a truss index (src, dst, truss); ``spatial='cells'``
+    lets distributed bisection find the vertices within a radius by grid cells.  ``only_first`` keeps
+    the group of least id.  Constraints other than trusses have no pools of known parts: ``update``
+    and ``incremental`` check them whole, and ``plan`` says so.
     """
     if method not in METHODS:
         raise ValueError(f"unknown method {method}")
     if delta <= 1:
         raise ValueError("delta must exceed 1")
     for name, value, known in (("seed", seed, SEEDS), ("check", check, CHECKS), ("pool", pool, ("anchored", "induced")),
-                               ("trim", trim, ("auto", "forest", "traverse", "banded")), ("engine", engine, ("auto", "kernel", "rounds"))):
+                               ("trim", trim, ("auto", "forest", "traverse", "banded")), ("engine", engine, ("auto", "kernel", "rounds")),
+                               ("spatial", spatial, ("none", "cells"))):
         if value not in known:
             raise ValueError(f"unknown {name} {value}")
     began = time.perf_counter()
     cons = constraints or Constraints()
+    if spatial == "cells" and method != "radius_bisect":
+        raise ValueError("only radius_bisect searches by cells")
+    if cons.rules and engine == "rounds":
+        raise ValueError("rules of the caller's own are checked in tasks: engine='kernel'")
     work = work or Workspace(graph.edges.sparkSession, f"solve-{method}")
     job = _prepare(graph, queries, cons, work, kernel_edges, preprune, index)
+    job.spatial = spatial
     if method == "two_phase_plain":
         seed, check, trim = "none", "full", "traverse" if trim == "auto" else trim
-    most = job.pruned.groupBy("qid").count().agg(F.max("count")).first()[0] or 0
-    local_only = method in ("nearest_insert", "farthest_peel")
-    if cons.social != "truss":  # pools, forests and vertex sweeps are made for trusses
-        check = "full" if check != "lazy" else check
-        if engine != "rounds" and most <= kernel_edges and method != "all_radii":
-            method = "radius_bisect"
-    if engine == "auto":
-        engine = "kernel" if most <= kernel_edges and method != "all_radii" else "rounds"
-    if local_only and engine == "rounds":
-        # the single-vertex baselines have no distributed shape of their own: a far-end peel is
-        # a bisection of the whole band, an insertion sweep the same from below
-        method = "radius_bisect"
-    rounds = counters = None
-    if not (engine == "kernel" and method != "all_radii"):
-        _ledger(job)
+    if cons.social != "truss" or cons.rules:
+        check = {"update": "full", "incremental": "lazy"}.get(check, check)
+    size = {r["qid"]: r["count"] for r in job.pruned.groupBy("qid").count().collect()}
     if engine == "kernel" and method != "all_radii":
+        local = list(size)
+    elif engine == "rounds" or method == "all_radii" or spatial == "cells":
+        local = []
+    else:
+        local = [q for q, n in size.items() if n <= kernel_edges]
+    far = [q for q in size if q not in set(local)]
+    if far and cons.rules:
+        raise ValueError(f"a pruned graph has more than {kernel_edges} edges: rules of the caller's own are checked in tasks")
+    got = []
+    if local or not far:
+        one = job.only(local) if far else job
         options = {}
         if method == "two_phase":
             options = {"delta": delta, "seed": seed, "check": check, "pool": pool, "trim": "traverse" if trim == "traverse" else "forest"}
         elif method == "two_phase_plain":
             options = {"delta": delta}
-        groups, edges, rounds, counters = _split(job, _kernel(job, job.pruned, "search", method, options))
-    elif method == "radius_bisect":
-        groups, edges = _finish(job, *_bisect(job))
+        got.append(_split(one, _kernel(one, one.pruned, "search", "radius_bisect" if method == "all_radii" else method, options)))
+    if far:
+        got.append(_rounds(job.only(far) if local else job, method, delta, seed, check, pool, trim))
+    groups, edges, rounds, counters = got[0]
+    if len(got) > 1:
+        groups, edges, rounds, counters = (a.unionByName(b) for a, b in zip(*got, strict=True))
+    if only_first:
+        first = groups.groupBy("qid").agg(F.min("group_id").alias("group_id"))
+        groups, edges = (x.join(F.broadcast(first), ["qid", "group_id"], "left_semi") for x in (groups, edges))
+    groups = work.save(_typed(groups, GROUPS), "groups")
+    return Result(groups, _typed(edges, GROUP_EDGES), _typed(rounds, ROUNDS), counters, job.pruned, time.perf_counter() - began,
+                  {"method": method, "engine": "rounds" if not local and far else "kernel" if not far else "both", "seed": seed, "check": check,
+                   "trim": trim, "largest": max(size.values(), default=0)})
+
+
+def _rounds(job: _Job, method: str, delta: float, seed: str, check: str, pool: str, trim: str):
+    """(groups, edges, rounds, counters) by distributed rounds."""
+    work, cons = job.work, job.cons
+    _ledger(job)
+    work_steps(job)
+    counters = work.spark.createDataFrame([], "qid long, counter string, n long")
+    if method == "radius_bisect":
+        found = _finish(job, *_bisect(job))
+    elif method in ("nearest_insert", "farthest_peel"):
+        found = _finish(job, *_sweep(job, method == "nearest_insert"))
     elif method == "all_radii":
-        groups, edges = _all_radii(job)
+        found = _all_radii(job)
     else:
         cand, bracket = grow(job, delta, seed, check, pool)
         cand = work.save(cand, "candidates")
-        big = (cand.groupBy("qid").count().agg(F.max("count")).first()[0] or 0) > kernel_edges
+        big = (cand.groupBy("qid").count().agg(F.max("count")).first()[0] or 0) > job.kernel_edges
         if trim == "banded" or (trim == "auto" and big) or cons.social != "truss":
             low = work.spark.createDataFrame([(q, lo, hi) for q, (lo, hi) in bracket.items()], "qid long, lo long, hi long")
             ledger = job.ledger.join(cand.drop("c"), ["qid", "src", "dst"], "left_semi")
             job.ledger = work.save(ledger, "candidate-ledger")
-            groups, edges = _finish(job, *_bisect(job, low))
+            found = _finish(job, *_bisect(job, low))
         else:
             rows = _kernel(job, cand, "trim", method, {"trim": "traverse" if trim == "traverse" else "forest"})
             groups, edges, _, counters = _split(job, rows)
-    if rounds is None:
-        rounds = work.spark.createDataFrame(job.log, ROUNDS)
-    if counters is None:
-        counters = work.spark.createDataFrame([], "qid long, counter string, n long")
-    if only_first:
-        first = groups.groupBy("qid").agg(F.min("group_id").alias("group_id"))
-        groups, edges = (x.join(F.broadcast(first), ["qid", "group_id"], "left_semi") for x in (groups, edges))
-    groups = work.save(_typed(groups, GROUPS), "groups")
-    return Result(groups, _typed(edges, GROUP_EDGES), rounds, counters, job.pruned, time.perf_counter() - began,
-                  {"method": method, "engine": engine, "seed": seed, "check": check, "trim": trim, "largest": most})
+            found = groups, edges
+    return *found, work.spark.createDataFrame(job.log, ROUNDS), counters
 
 
 def _typed(df: DataFrame, kinds: str) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from nearcohort.model import QUERIES, Graph, make_queries
 from nearcohort.operators.graph import sample_vertices
 from nearcohort.plans.runtime import Workspace
-from nearcohort.plans.solve import Result, solve
+from nearcohort.plans.solve import SEEDS, Result, solve
 
 #: Defaults and ranges of the parameters.
 DEFAULTS = {"c": 6, "n_keywords": 3, "rho": 3}
@@ -32,8 +32,8 @@ def random_queries(spark: SparkSession, n: int, vocabulary: Sequence[str], n_key
 
 
 def vocabulary(graph: Graph) -> list[str]:
-    """The distinct keywords of a graph (a small set)."""
-    return sorted(r["kw"] for r in graph.vertices.where("kw is not null").select("kw").distinct().limit(1000).collect())
+    """All distinct keywords of a graph, in order."""
+    return sorted(r["kw"] for r in graph.vertices.where("kw is not null").select("kw").distinct().collect())
 
 
 def cached(graph: Graph, work: Workspace) -> Graph:
@@ -67,17 +67,19 @@ def sweep(graph: Graph, parameter: str, values: Iterable, methods: Sequence[str]
 
 
 def ablation(graph: Graph, queries: DataFrame) -> DataFrame:
-    """(qid, seed, check, pool, trim, d, members) of every combination: all agree in d and members."""
+    """(qid, seed, check, pool, trim, engine, d, members) of every combination of seed, check and trim:
+    all agree in d and members.  Trimming by bands is a form of the distributed rounds."""
     spark = graph.edges.sparkSession
     graph = cached(graph, Workspace(spark, "ablation"))
+    checks = (("full", "anchored"), ("update", "anchored"), ("lazy", "anchored"), ("incremental", "anchored"), ("incremental", "induced"))
+    runs = [(seed, check, pool, trim, "kernel") for seed in SEEDS for check, pool in checks for trim in ("forest", "traverse")]
+    runs += [("kruskal", check, pool, "banded", "rounds") for check, pool in checks]
     out = None
-    for seed in ("kruskal", "degree", "none"):
-        for check, pool in (("full", "anchored"), ("update", "anchored"), ("lazy", "anchored"), ("incremental", "anchored"), ("incremental", "induced")):
-            for trim in ("forest", "traverse"):
-                r = solve(graph, queries, "two_phase", seed=seed, check=check, pool=pool, trim=trim).groups
-                one = r.groupBy("qid").agg(F.max("d").alias("d"), F.count("*").alias("members")).select(
-                    "qid", F.lit(seed).alias("seed"), F.lit(check).alias("check"), F.lit(pool).alias("pool"), F.lit(trim).alias("trim"), "d", "members")
-                out = one if out is None else out.unionByName(one)
+    for seed, check, pool, trim, engine in runs:
+        r = solve(graph, queries, "two_phase", seed=seed, check=check, pool=pool, trim=trim, engine=engine).groups
+        one = r.groupBy("qid").agg(F.max("d").alias("d"), F.count("*").alias("members")).select(
+            "qid", *[F.lit(v).alias(k) for k, v in (("seed", seed), ("check", check), ("pool", pool), ("trim", trim), ("engine", engine))], "d", "members")
+        out = one if out is None else out.unionByName(one)
     return out
 
 

@@ -9,9 +9,9 @@ from nearcohort.operators import graph as G
 from nearcohort.operators import space as S
 from nearcohort.operators.components import components
 from nearcohort.operators.qualify import prune, social_peel
-from nearcohort.operators.truss import min_trussness, truss_decompose, truss_peel
+from nearcohort.operators.truss import truss_decompose, truss_peel
 from nearcohort.plans.runtime import Workspace
-from nearcohort.plans.solve import _Job, _ledger, merge_components, seed_radius, solve, spanning_forest
+from nearcohort.plans.solve import _Job, _ledger, merge_components, seed_radius, spanning_forest
 from nearcohort.queries.searches import _SEG, BATCH, Q1
 from nearcohort.queries.sqlgen import (
     edges_sql,
@@ -160,8 +160,28 @@ _SEED = (_H + ", sr AS (SELECT DISTINCT qid, ed AS r FROM hh), se AS MATERIALIZE
          + label_cte("sl", "se", ["qid", "r"]) + ", " + good_cte("sl_end", ["qid", "r"], "sgood", 2) + " SELECT qid, min(r) AS d FROM sgood GROUP BY qid")
 for _m in ("kruskal", "forest", "bisect"):
     add(f"seed_radius_{_m}", _SEED)(lambda s, d, m=_m: seed_radius(_job(s, d), m))
-add("seed_radius_degree")(lambda s, d: seed_radius(_job(s, d), "degree"))
-add("seed_radius_relax")(lambda s, d: seed_radius(_job(s, d), "relax_keyword"))
+# only vertices with c - 1 neighbours within the radius may unite
+_RIPE = (_H + ", sr AS (SELECT DISTINCT qid, ed AS r FROM hh), s0 AS MATERIALIZED (SELECT hh.qid, sr.r, hh.src, hh.dst FROM hh JOIN sr ON sr.qid = hh.qid AND hh.ed <= sr.r), "
+         f"ripe AS MATERIALIZED (SELECT qid, r, id FROM (SELECT qid, r, src AS id FROM s0 UNION ALL SELECT qid, r, dst FROM s0) GROUP BY 1, 2, 3 HAVING count(*) >= {Q1[5] - 1}), "
+         "se AS MATERIALIZED (SELECT s0.* FROM s0 JOIN ripe a ON a.qid = s0.qid AND a.r = s0.r AND a.id = s0.src JOIN ripe b ON b.qid = s0.qid AND b.r = s0.r AND b.id = s0.dst), "
+         + label_cte("sl", "se", ["qid", "r"]) + ", " + good_cte("sl_end", ["qid", "r"], "sgood", 2) + " SELECT qid, min(r) AS d FROM sgood GROUP BY qid")
+add("seed_radius_degree", _RIPE)(lambda s, d: seed_radius(_job(s, d), "degree"))
+# the nearest truss of the pruned graph whatever its keywords
+_LOOSE = (_H + ", sr AS (SELECT DISTINCT qid, ed AS r FROM hh), "
+          + peel_cte("px", f"SELECT hh.qid, sr.r, hh.src, hh.dst, {Q1[5] - 2} AS need FROM hh JOIN sr ON sr.qid = hh.qid AND hh.ed <= sr.r", ["qid", "r"])
+          + " SELECT qid, min(r) AS d FROM px_end GROUP BY qid")
+add("seed_radius_relax", _LOOSE)(lambda s, d: seed_radius(_job(s, d), "relax_keyword"))
+# weight of the forest: at each radius, what the number of its edges grows by
+_WEIGHT = (_SEED[:_SEED.index(", sgood AS")] + ", fn AS (SELECT qid, r, count(*) - count(DISTINCT comp) AS k FROM sl_end GROUP BY 1, 2), "
+           "fd AS (SELECT qid, r, k - coalesce(lag(k) OVER (PARTITION BY qid ORDER BY r), 0) AS k FROM fn) "
+           "SELECT qid, CAST(sum(k) AS BIGINT) AS n_edges, round(sum(k * r), 4) AS weight FROM fd GROUP BY qid")
+for _n, _o in (("spanning_forest_weight", {}), ("spanning_forest_parts", {"part_edges": 64, "fan_in": 2})):
+    add(_n, _WEIGHT)(lambda s, d, o=_o: _forest_weight(s, d, o))
+
+
+def _forest_weight(s, d, options):
+    job = _job(s, d)
+    return spanning_forest(job.ledger, job.work, **options).groupBy("qid").agg(F.count("*").alias("n_edges"), F.round(F.sum("ed"), 4).alias("weight"))
 
 
 @add("keyword_census", f"WITH RECURSIVE {_PREP}, {label_cte('cl', 'pg_end', ['qid'])} SELECT cl_end.qid, cl_end.comp, w.kw, count(*) AS n FROM cl_end "
@@ -220,6 +240,9 @@ def truss_index(s, d):
     return truss_decompose(load(s, d, "buyers").edges)
 
 
+add("truss_index_rounds", ORACLES["truss_index"])(lambda s, d: truss_decompose(load(s, d, "buyers").edges, kernel_edges=0))
+
+
 @add("anchored_peel", _peel_sql("active", 4))
 def anchored_peel(s, d):
     """A part peeled first is locked while the rest is peeled: together the whole answer."""
@@ -248,9 +271,3 @@ SELECT DISTINCT src, dst FROM (SELECT a AS src, b AS dst FROM p WHERE n = pn UNI
 def nucleus_34(s, d):
     e = load(s, d, "active").edges.withColumns({"qid": F.lit(1), "c": F.lit(4)})
     return social_peel(e, ["qid"], "nucleus").select("src", "dst")
-
-
-@add("group_trussness")
-def group_trussness(s, d):
-    """Every group of an answer has at least the trussness asked for."""
-    return min_trussness(solve(load(s, d, "buyers"), make_queries(s, BATCH)).group_edges)

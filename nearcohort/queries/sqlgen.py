@@ -61,6 +61,8 @@ def peel_cte(name: str, start: str, keys: list[str], social: str = "truss") -> s
     ``start`` yields keys, src, dst, need.  A round carries the whole surviving set and its
     size per key; a key leaves when its size no longer falls.
     """
+    if social == "nucleus":
+        return _nucleus_cte(name, start, keys)
     k = "".join(f"{x}, " for x in keys)
     part = f"PARTITION BY {', '.join(keys)}" if keys else ""
     on = lambda a, b: "".join(f"{a}.{x} = {b}.{x} AND " for x in keys)
@@ -82,6 +84,29 @@ def peel_cte(name: str, start: str, keys: list[str], social: str = "truss") -> s
 {name}_end AS MATERIALIZED (SELECT {k}src, dst, need FROM {name} WHERE n = pn)"""
 
 
+def _nucleus_cte(name: str, start: str, keys: list[str]) -> str:
+    """The same for triangles that each lie in ``need`` four-cliques; the edges of what is left."""
+    k = "".join(f"{x}, " for x in keys)
+    part = f"PARTITION BY {', '.join(keys)}" if keys else ""
+    on = lambda a, b: "".join(f"{a}.{x} = {b}.{x} AND " for x in keys)
+    faces = "[{'a': x.a, 'b': x.b, 'w': x.w}, {'a': x.a, 'b': x.b, 'w': y.w}, {'a': x.a, 'b': x.w, 'w': y.w}, {'a': x.b, 'b': x.w, 'w': y.w}]"
+    quads = f"""SELECT {k}f.a AS a, f.b AS b, f.w AS w, count(*) AS s FROM (
+        SELECT {''.join(f'x.{c}, ' for c in keys)}unnest({faces}) AS f FROM {name} x JOIN {name} y ON {on('x', 'y')}x.a = y.a AND x.b = y.b AND x.w < y.w
+        JOIN {name} z ON {on('x', 'z')}z.a = x.a AND z.b = x.w AND z.w = y.w JOIN {name} u ON {on('x', 'u')}u.a = x.b AND u.b = x.w AND u.w = y.w)
+        GROUP BY {k}f.a, f.b, f.w"""
+    return f"""{name}_start AS MATERIALIZED ({start}),
+{name}_tri AS MATERIALIZED (SELECT {''.join(f'e1.{c}, ' for c in keys)}e1.src AS a, e1.dst AS b, e2.dst AS w, e1.need FROM {name}_start e1
+  JOIN {name}_start e2 ON {on('e1', 'e2')}e1.src = e2.src AND e1.dst < e2.dst JOIN {name}_start e3 ON {on('e1', 'e3')}e3.src = e1.dst AND e3.dst = e2.dst),
+{name}(it, {k}a, b, w, need, n, pn) AS (
+  SELECT 0, {k}a, b, w, need, count(*) OVER ({part}), CAST(-1 AS BIGINT) FROM {name}_tri
+  UNION ALL
+  SELECT it + 1, {k}a, b, w, need, count(*) OVER ({part}), n FROM (
+    SELECT p.it, {''.join(f'p.{c}, ' for c in keys)}p.a, p.b, p.w, p.need, p.n FROM {name} p LEFT JOIN ({quads}) t
+    ON {on('p', 't')}t.a = p.a AND t.b = p.b AND t.w = p.w WHERE p.n <> p.pn AND coalesce(t.s, 0) >= p.need)),
+{name}_end AS MATERIALIZED (SELECT {k}a AS src, b AS dst, need FROM {name} WHERE n = pn UNION SELECT {k}a, w, need FROM {name} WHERE n = pn
+  UNION SELECT {k}b, w, need FROM {name} WHERE n = pn)"""
+
+
 def label_cte(name: str, edges: str, keys: list[str]) -> str:
     """Recursive CTE ``name`` and ``name_end`` (keys, id, comp): least reachable vertex."""
     k = "".join(f"{x}, " for x in keys)
@@ -109,7 +134,7 @@ def _values(rows, columns: str, kinds: list[str]) -> str:
 def prepared_ctes(graph: str, queries, social: str = "truss", coverage: str = "open", jaccard: float | None = None,
                   per_keyword: dict | None = None, min_influence: float | None = None, attrs: bool = False) -> str:
     """CTEs v, e, q, w, vd (located vertices per query), h (cohesive part), hed (with distance)."""
-    less = {"truss": 2, "core": 1}[social]
+    less = {"truss": 2, "core": 1, "nucleus": 3}[social]
     own = per_keyword or {}
     want = [] if jaccard is not None else [(q[0], k, own.get(k, q[4])) for q in queries for k in q[3] if own.get(k, q[4]) > 0]
     phi = [(q[0], k) for q in queries for k in q[3]]
@@ -128,28 +153,30 @@ e AS MATERIALIZED ({edges_sql(graph)}),
 {_values(want, "w(qid, kw, least)", ["BIGINT", "VARCHAR", "BIGINT"])},
 {_values(phi, "f(qid, kw)", ["BIGINT", "VARCHAR"])},
 fl AS (SELECT q.qid, coalesce(list(f.kw) FILTER (f.kw IS NOT NULL), []) AS phi FROM q LEFT JOIN f USING (qid) GROUP BY q.qid),
-vd AS MATERIALIZED (SELECT qid, id, kw, held, round(sqrt(pow(x - qx, 2) + pow(y - qy, 2)), 6) AS dist FROM (
+vd AS MATERIALIZED (SELECT qid, id, kw, held, influence, round(sqrt(pow(x - qx, 2) + pow(y - qy, 2)), 6) AS dist FROM (
   SELECT q.qid, q.qx, q.qy, fl.phi, v.id, v.kw, v.x, v.y, v.influence, {held} AS held FROM v, q JOIN fl USING (qid)) WHERE {where}),
 {peel_cte("pg", f"SELECT q.qid, e.src, e.dst, greatest(q.c - {less}, 0) AS need FROM e, q WHERE EXISTS (SELECT 1 FROM vd WHERE vd.qid = q.qid AND vd.id = e.src) AND EXISTS (SELECT 1 FROM vd WHERE vd.qid = q.qid AND vd.id = e.dst)", ["qid"], social)},
 hed AS MATERIALIZED (SELECT g.qid, g.src, g.dst, g.need, greatest(a.dist, b.dist) AS ed FROM pg_end g
   JOIN vd a ON a.qid = g.qid AND a.id = g.src JOIN vd b ON b.qid = g.qid AND b.id = g.dst)"""
 
 
-def good_cte(labels: str, keys: list[str], name: str = "good", min_size: int = 0, size_only: bool = False) -> str:
+def good_cte(labels: str, keys: list[str], name: str = "good", min_size: int = 0, min_total: float | None = None) -> str:
     """CTE ``name`` (keys, comp): components that meet the demands of w."""
     k = ", ".join(f"l.{x}" for x in keys)
+    more = f" AND total >= {min_total}" if min_total is not None else ""
     return f"""{name} AS MATERIALIZED (
   SELECT {', '.join(keys)}, comp FROM (
-    SELECT {k}, l.comp, l.size, count(CASE WHEN n >= least THEN 1 END) AS met, (SELECT count(*) FROM w WHERE w.qid = l.qid) AS want FROM
-      (SELECT {', '.join(keys)}, comp, count(*) AS size FROM {labels} GROUP BY {', '.join(keys)}, comp) l LEFT JOIN
+    SELECT {k}, l.comp, l.size, l.total, count(CASE WHEN n >= least THEN 1 END) AS met, (SELECT count(*) FROM w WHERE w.qid = l.qid) AS want FROM
+      (SELECT {k}, comp, count(*) AS size, sum(coalesce(vd.influence, 0)) AS total FROM {labels} l LEFT JOIN vd ON vd.qid = l.qid AND vd.id = l.id
+       GROUP BY {k}, comp) l LEFT JOIN
       (SELECT {k}, l.comp, w.kw, w.least, count(*) AS n FROM {labels} l JOIN vd ON vd.qid = l.qid AND vd.id = l.id
        JOIN w ON w.qid = l.qid AND list_contains(vd.held, w.kw) GROUP BY {k}, l.comp, w.kw, w.least) c
       ON {' AND '.join(f'c.{x} = l.{x}' for x in keys)} AND c.comp = l.comp
-    GROUP BY {k}, l.comp, l.size) WHERE met = want AND size >= {min_size})"""
+    GROUP BY {k}, l.comp, l.size, l.total) WHERE met = want AND size >= {min_size}{more})"""
 
 
 def search_sql(graph: str, queries, band: tuple[float, float] | None = None, min_size: int = 0, social: str = "truss", select: str | None = None,
-               **local) -> str:
+               min_total: float | None = None, **local) -> str:
     """All groups at the optimum radius, by testing every radius (or those of ``band``) at once.
 
     With a band the answer is right if its first radius fails, since feasibility is monotone.
@@ -159,7 +186,7 @@ def search_sql(graph: str, queries, band: tuple[float, float] | None = None, min
 radii AS (SELECT DISTINCT qid, ed AS r FROM hed{window}),
 {peel_cte("pr", "SELECT hed.qid, radii.r, hed.src, hed.dst, hed.need FROM hed JOIN radii ON radii.qid = hed.qid AND hed.ed <= radii.r", ["qid", "r"], social)},
 {label_cte("lab", "pr_end", ["qid", "r"])},
-{good_cte("lab_end", ["qid", "r"], min_size=min_size)},
+{good_cte("lab_end", ["qid", "r"], min_size=min_size, min_total=min_total)},
 best AS (SELECT qid, min(r) AS r FROM good GROUP BY qid),
 answer AS (SELECT b.qid, b.r AS d, g.comp AS group_id, l.id AS member, vd.kw, vd.dist FROM best b
   JOIN good g ON g.qid = b.qid AND g.r = b.r JOIN lab_end l ON l.qid = g.qid AND l.r = g.r AND l.comp = g.comp
