@@ -2,6 +2,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 
 from nearcohort.llm import ngram_join as N
 from nearcohort.llm.decontaminate import word_shingles
@@ -81,6 +82,71 @@ def test_overlap_bounds():
                 assert linked[0] == N.overlap_needed(n, m) >= max(N.need(n), N.need(m))
 
 
+def test_texts_whose_words_collide_in_weak_hashes_are_apart(spark):
+    thue = ["".join("ab"[(bin(i).count("1") + f) % 2] for i in range(2048)) for f in (0, 1)]
+    docs = [(1, thue[0]), (2, thue[1]), (3, f"x y z w {thue[0]}"), (4, f"x y z w {thue[1]}"), (5, thue[0])]
+    got = {r["doc_id"]: r["component_id"] for r in N.jaccard_classes(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 2, 3: 3, 4: 4, 5: 1}
+
+
+def test_words_decide_where_hashes_collide(spark, monkeypatch, tmp_path):
+    """With hashes of a few bits different texts share signatures and shingles; the words tell them apart."""
+    real = N.shingle_sets
+
+    def weak(texts, k=5):
+        for s in real(texts, k):
+            yield np.unique(s % np.uint64(3))
+
+    monkeypatch.setattr(N, "shingle_sets", weak)
+    a, b, c = "one two three four five", "six seven eight nine ten", "a b c d e"
+    texts = pa.array([a, b, c, a.upper()])
+    sets = list(weak(texts))
+    assert len({s.tobytes() for s in sets}) < 3
+    batch = lambda rows: pa.RecordBatch.from_pylist(rows, pa.schema([("b", pa.int64()), ("part", pa.int64()), ("lead", pa.bool_()), ("row", pa.int64()), ("text", pa.string())]))
+    rows = [{"b": 1, "part": 0, "lead": i == 0, "row": i + 1, "text": t} for i, t in enumerate([a, b, c, a.upper()])]
+    links = [tuple(r.values()) for rb in N._search(iter([batch(rows)]), 5, 80) for r in rb.to_pylist()]
+    assert links == [(4, 1, 1)]
+    canon = [x for rb in N._canonical(iter([pa.RecordBatch.from_pydict({"row": pa.array([1, 2, 3, 4]), "text": texts})]), 5) for x in rb.to_pydict()["canon"]]
+    assert canon[0] == canon[3] and len(set(canon)) == 3
+
+
+def test_equal_sets_in_other_orders_are_one_class(spark):
+    docs = [(1, "a " * 9), (2, "a " * 30), (3, "A " * 9), (4, "p q r s t p q r s t p"), (5, "q r s t p q r s t p")]
+    got = {r["doc_id"]: r["class_id"] for r in N.jaccard_classes(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 1, 3: 1, 4: 4, 5: 4}
+
+
+def test_repeated_and_missing_ids_keep_their_own_sets(spark):
+    text = "one two three four five six seven eight nine ten"
+    docs = spark.createDataFrame([(7, text), (7, "quite another text of seven words"), (7, text), (None, text), (None, "alone with no id at all"), (9, text + " x")],
+                                 "doc_id long, text string")
+    got = sorted((r["doc_id"] or 0, r["n_shingles"], r["component_id"] or 0) for r in N.jaccard_classes(docs).collect())
+    assert got == [(0, 2, 0), (0, 6, 7), (7, 2, 7), (7, 6, 7), (7, 6, 7), (9, 7, 7)]
+    left = sorted(((r["doc_id"] or 0), r["text"]) for r in N.drop_near_duplicates(docs).collect())
+    assert left == [(0, "alone with no id at all"), (7, text), (7, "quite another text of seven words")]
+
+
+def test_all_links_of_all_classes(spark):
+    docs = family(3, 60)
+    links, members = N.jaccard_links(spark.createDataFrame(docs, "doc_id long, text string"))
+    sets = {i: shingles(t) for i, t in docs}
+    rep = {}
+    for i in sorted(sets):
+        rep.setdefault(frozenset(sets[i]), i)
+    want = {(a, b, len(sets[a] & sets[b])) for a in rep.values() for b in rep.values()
+            if a > b and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])}
+    assert {tuple(r) for r in links.collect()} == want and len(want) > 20
+    assert {r["doc_id"]: r["class_id"] for r in members.collect()} == {i: rep[frozenset(s)] for i, s in sets.items()}
+
+
+def test_blocks_of_a_hot_leader_are_split(spark, monkeypatch):
+    monkeypatch.setattr(N, "BLOCK_CLASSES", 4)
+    monkeypatch.setattr(N, "BLOCK_TEXT", 200)
+    base = [f"w{i}" for i in range(60)]
+    docs = [(i, " ".join([*base, f"end{i}"])) for i in range(1, 41)]
+    assert {r["component_id"] for r in N.jaccard_classes(spark.createDataFrame(docs, "doc_id long, text string")).collect()} == {1}
+
+
 def test_words_are_split_at_ascii_blanks_only(spark):
     t = "a b\x0bc\x1fd E f g"
     words = re.findall(r"[^\x20\x09-\x0D]+", t)

@@ -1,4 +1,5 @@
 import hashlib
+import math
 import random
 import zlib
 
@@ -9,7 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from nearcohort.llm import bpe, decontaminate, exact_dedup, licenses, passages, quality, sharding, urls, warc
+from nearcohort.llm import bpe, decontaminate, exact_dedup, licenses, ngram_join, passages, quality, queries, sharding, urls, warc
 from nearcohort.plans.runtime import Workspace
 
 VOCAB = public_tokenizers.path("byte_bpe_50k.json")
@@ -134,6 +135,52 @@ def test_quality_edges(spark, weird, nothing):
     assert s.shape == (2, len(quality.FEATURES)) and s[0, 0] == 0 and s[1, quality.FEATURES.index("upper_share")] == pytest.approx(1 / 3, abs=1e-6)
 
 
+def plain_statistics(text):
+    """The features of one text, written down plainly."""
+    raw = (text or "").encode()
+    kinds = dict.fromkeys(quality._KINDS, 0)
+    for b in raw:
+        c = chr(b)
+        kinds["high" if b >= 128 else "lower" if "a" <= c <= "z" else "upper" if "A" <= c <= "Z" else "digit" if c.isdigit() else
+              "newline" if c == "\n" else "space" if c in " \t\r\v\f" else "bang" if c in "!?" else "decor" if c in "*#$%&~^" else
+              "pipe" if c in "|\\/<>[]{}" else "stop" if c in ".,;:'\"()-" else "other"] += 1
+    words = raw.lower().split()
+    lines = [tuple(x.split()) for x in raw.lower().split(b"\n")]
+    lines = [x for x in lines if x]
+    n = max(1, len(words))
+    rich = math.log(max(1, len(set(words)))) / math.log(len(words)) if len(words) > 1 else 1.0
+    return [math.log1p(len(raw)), math.log1p(len(words)), *(kinds[k] / max(1, len(raw)) for k in quality._KINDS), sum(map(len, words)) / n,
+            len(set(words)) / n, rich, len(set(lines)) / max(1, len(lines)), math.log1p(len(words) / max(1, len(lines)))]
+
+
+def test_quality_query_equals_a_plain_version(spark):
+    """Every score of the registered query, from plain statistics and the rules read one by one."""
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    model = quality.fit(docs, labels)
+    text = {r["doc_id"]: r["text"] for r in docs.collect()}
+    got = {r["doc_id"]: r for r in queries.QUERIES["op4_quality_classifier"](spark, d).collect()}
+    assert set(got) == set(text)
+    for i, t in text.items():
+        x = [round(v, 6) for v in plain_statistics(t)]
+        z = model.bias
+        for rule, w in model.rules:
+            if all((x[quality.FEATURES.index(f)] <= b) == below for f, below, b in rule.terms):
+                z += w
+        want = 1 / (1 + math.exp(-z))
+        assert got[i]["score"] == pytest.approx(want, abs=1e-9) and got[i]["predicted"] == (want >= 0.3)
+        assert got[i]["held_out"] == (zlib.crc32(str(i).encode()) % 5 == 0)
+
+
+def test_keep_good_takes_any_column_name(spark):
+    docs = spark.createDataFrame([(1, "some text", 1.0, 2, 3), (1, "some text", 1.0, 2, 3), (None, None, 2.0, 3, 4)], "doc_id long, text string, __log_bytes double, statistics int, row_key int")
+    kept = quality.keep_good(docs, quality.RuleModel(1.0, [(quality.Rule((("log_bytes", False, 0.5),)), 1.0)]))
+    assert kept.columns == docs.columns and kept.count() == 3
+    for drop in (exact_dedup.drop_duplicates, ngram_join.drop_near_duplicates, passages.remove_repeats):
+        left = drop(docs)
+        assert left.columns == docs.columns and left.count() == (3 if drop is passages.remove_repeats else 2)
+
+
 # -- exact dedup ----------------------------------------------------------------------------------
 def test_exact_groups(spark, weird, nothing):
     got = {r["doc_id"]: r for r in exact_dedup.duplicate_groups(weird, "largest").collect()}
@@ -261,6 +308,58 @@ def test_short_passages_are_found_in_every_place(spark):
         assert all(texts[i][a:b] in texts[i ^ 1] for a, b in spans if b - a < 1000)
 
 
+def test_spans_against_brute_force(spark):
+    """Small texts with passages shared by two or more: what is reported is repeated, what is long and
+    repeated is reported."""
+    r = random.Random(21)
+    word = lambda: "".join(r.choices("abcdefghijklmnop", k=r.randint(3, 9)))
+    text = lambda n: " ".join(word() for _ in range(n))
+    shared = [text(70) for _ in range(8)]
+    docs = [(i, " ".join(r.choice([text(r.randint(5, 60)), r.choice(shared)]) for _ in range(r.randint(1, 4)))) for i in range(60)]
+    docs += [(100, docs[3][1]), (101, docs[3][1])]
+    texts = dict(docs)
+    spans = {}
+    for x in passages.repeated_spans(spark.createDataFrame(docs, "doc_id long, text string")).collect():
+        spans.setdefault(x["doc_id"], []).append((x["start"], x["start"] + x["size"]))
+    grams = {}  # every place of every run of 24 characters
+    for i, t in docs:
+        for a in range(len(t) - 23):
+            grams.setdefault(t[a:a + 24], set()).add((i, a))
+    missed = total = 0
+    for i, t in docs:
+        again = [len(grams[t[a:a + 24]]) > 1 for a in range(max(0, len(t) - 23))]
+        covered = np.zeros(len(t), bool)
+        for a, b in spans.get(i, ()):
+            covered[a:b] = True
+            # each place in a span lies in a run that occurs elsewhere
+            ok = np.zeros(len(t), bool)
+            for p in range(max(0, a - 23), min(b, len(again))):
+                if again[p]:
+                    ok[p:p + 24] = True
+            assert ok[a:b].all(), (i, a, b)
+        at = 0
+        while at < len(again):  # runs of 250 repeated characters and more
+            end = at
+            while end < len(again) and again[end]:
+                end += 1
+            if end - at + 23 >= 250:
+                total += 1
+                missed += covered[at:end + 23].mean() < 0.9
+            at = end + 1
+    assert total > 40 and missed <= 0.02 * total
+
+
+def test_passages_row_by_row(spark):
+    r = random.Random(5)
+    text = lambda n: " ".join("".join(r.choices("abcdefgh", k=r.randint(2, 8))) for _ in range(n))
+    p = text(70)
+    docs = spark.createDataFrame([(1, f"{text(30)} {p}", 0), (1, f"{p} {text(30)}", 1), (None, p, 2), (3, None, 3), (4, text(90), 4)], "doc_id long, text string, cuts int")
+    got = sorted((x["doc_id"] or 0, x["n_later"] > 0, x["first_doc"]) for x in passages.repeated_spans(docs).collect())
+    assert [g[:2] for g in got] == [(0, True), (1, False), (1, True)] and {g[2] for g in got} == {1}
+    left = {x["cuts"]: x["text"] for x in passages.remove_repeats(docs).collect()}
+    assert p in left[0] and p not in left[1] and len(left[2]) < 40 and left[3] is None and len(left) == 5
+
+
 def test_passage_edges(weird, nothing):
     got = {(r["doc_id"], r["start"], r["size"]) for r in passages.repeated_spans(weird, 1).collect()}
     assert (9, 0, 26) in {g for g in got} or any(g[0] == 9 for g in got)
@@ -284,6 +383,38 @@ def test_license_spans(spark, weird, nothing):
     assert licenses.license_spans(nothing).count() == 0 and licenses.license_spans(weird, []).count() == 0
 
 
+def test_recall_of_candidates_against_alignment_of_everything(spark):
+    """Templates with a share of their words replaced, dropped or added, inside other text: what a
+    whole alignment finds, the fingerprints must bring up."""
+    r = random.Random(12)
+    filler = lambda n: " ".join("".join(r.choices("etaoinshrdlu", k=r.randint(2, 9))) for _ in range(n))
+    docs, truth = [], set()
+    plain = lambda t: ["".join(c if c.isalnum() or ord(c) > 127 else " " for c in x) for x in [t.lower()]][0].split()
+    for k in range(260):
+        name, text = licenses.TEMPLATES[k % len(licenses.TEMPLATES)]
+        w, rate = text.split(), r.choice([0.0, 0.04, 0.08, 0.12])
+        out = []
+        for x in w:
+            y = r.random()
+            out += [] if y < rate / 3 else [filler(1)] if y < 2 * rate / 3 else [x, filler(1)] if y < rate else [x]
+        docs.append((k, f"{filler(40)} {' '.join(out)} {filler(40)}"))
+        a, b = plain(text), plain(" ".join(out))
+        row = [0] * (len(b) + 1)
+        for u in a:  # longest common subsequence
+            new = [0]
+            for j, v in enumerate(b):
+                new.append(row[j] + 1 if u == v else max(row[j + 1], new[-1]))
+            row = new
+        if row[-1] >= licenses.MIN_COVERAGE * len(a):
+            truth.add((k, name))
+    got = {(x["doc_id"], x["license"]) for x in licenses.license_spans(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert len(truth) > 200 and len(truth & got) >= 0.95 * len(truth)
+    clean = spark.createDataFrame([(i, filler(400)) for i in range(50)], "doc_id long, text string")
+    assert licenses.license_spans(clean).count() == 0
+    table = spark.createDataFrame([("own", "my own little license of ten words for everybody here"), ("none", None)], "name string, text string")
+    assert [x["license"] for x in licenses.license_spans(spark.createDataFrame([(None, "x My own little license of ten words, for everybody here!")], "doc_id long, text string"), table).collect()] == ["own"]
+
+
 def test_alignment_equals_longest_common_subsequence():
     r = random.Random(6)
     for _ in range(100):
@@ -318,6 +449,23 @@ def test_shards(spark, weird, nothing):
         sharding.shard(weird, 0)
 
 
+def test_sharding_query_against_its_contract(spark):
+    d = "/root/testdata/sf0.01"
+    text = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{d}/documents.parquet").collect()}
+    got = queries.QUERIES["op8_vector_sharding"](spark, d).collect()
+    assert sorted(r["doc_id"] for r in got) == sorted(text) and {r["shard"] for r in got} <= set(range(40))
+    slots, load = {}, {}
+    for r in got:
+        raw = (text[r["doc_id"]] or "").encode()
+        assert (r["size"], r["text_crc32"], r["law"], r["grown_shard"]) == (len(raw) + 16, zlib.crc32(raw), "bytes", None)
+        assert r["n_words"] == len((text[r["doc_id"]] or "").split())
+        slots.setdefault(r["shard"], []).append(r["slot"])
+        load[r["shard"]] = load.get(r["shard"], 0) + r["size"]
+    assert all(sorted(v) == list(range(len(v))) for v in slots.values())
+    # no packing beats the mean or the longest text
+    assert max(load.values()) <= max(1.05 * sum(load.values()) / 40, max(r["size"] for r in got))
+
+
 def test_packing_balances_every_dimension():
     r = np.random.default_rng(1)
     v = r.random((2000, 3)) + 0.01
@@ -336,11 +484,16 @@ def test_url_rules_and_terms(spark):
         "http://shop.com/fr/cheap-pills": ("shop.com", "/fr/cheap-pills", "com/fr/", "allow"), "http://shop.com/de/": ("shop.com", "/de/", "com/de/", "block"),
         "http://casino-win.net/": ("casino-win.net", "/", None, "block"), "http://casinos.net/": ("casinos.net", "/", None, "allow"),
         "http://free-bets.net": ("free-bets.net", "", None, "block"), "http://free-free.net/x": ("free-free.net", "/x", None, "allow"),
+        "http://écasino.net/": ("écasino.net", "/", None, "allow"), "http://x.net/casinoé": ("x.net", "/casinoé", None, "allow"),
         "http://XXX.net?x=1": ("xxx.net", "", None, "block"), "http://org/x": ("org", "/x", "org/", "allow")}
     df = spark.createDataFrame([(i, u, 5) for i, u in enumerate(cases)], "page_id long, url string, host int")
     got = {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in urls.judge(df).collect()}
     assert got == dict(enumerate(cases.values()))
     assert urls.judge(df.limit(0)).count() == 0
+    words = spark.createDataFrame([("Widgets", None), ("red", 1.0), ("blue", 1.0), ("blue", 0.5), (None, 1.0)], "term string, weight double")
+    pages = spark.createDataFrame([(1, "http://a.net/widgets"), (1, "http://a.net/red-blue"), (None, "http://a.net/red"), (2, "http://casino.net")], "page_id long, url string")
+    got = sorted((r["page_id"] or 0, r["verdict"], r["n_strict"], r["n_soft"]) for r in urls.judge(pages, vocabulary=words).collect())
+    assert got == [(0, "allow", 0, 1), (1, "block", 0, 2), (1, "block", 1, 0), (2, "allow", 0, 0)]
 
 
 # -- archives ---------------------------------------------------------------------------------------
