@@ -4,12 +4,18 @@ Encoding of one pre-token: its symbols form a doubly linked list, every adjacent
 has a merge waits in a priority queue under (rank, position), and a popped entry whose
 symbols have changed meanwhile is stale and skipped.  Pre-tokens repeat, so their encodings
 are kept in a bounded table.  Decoding concatenates the vocabulary's byte strings.
+
+Null and empty texts have no tokens; repeated rows and ids give rows of their own; other columns,
+whatever their names, are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 import json
+import struct
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -49,71 +55,78 @@ class Codec:
             self.strings[i] = token.encode()
         self.byte_ids = [vocab[c] for c in letters]
         pairs = [m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"]]
-        self.merges = {(vocab[a], vocab[b]): (rank, vocab[a + b]) for rank, (a, b) in enumerate(pairs)}
+        #: rank of a pair of ids (in one integer), and the id that the merge of that rank makes
+        self.ranks = {vocab[a] << 32 | vocab[b]: rank for rank, (a, b) in enumerate(pairs)}
+        self.made = [vocab[a + b] for a, b in pairs]
         self.split = regex.compile(SPLIT)
         self.added = regex.compile("(" + "|".join(map(regex.escape, sorted(added, key=len, reverse=True))) + ")") if added else None
         self.added_ids = added
-        self.known = _Known(self)
+        self.known: dict[str, bytes] = {}
 
     def merge(self, raw: bytes) -> list[int]:
         """Ids of one pre-token."""
         sym = [self.byte_ids[b] for b in raw]
-        n = len(sym)
+        n, rank_of, made = len(sym), self.ranks.get, self.made
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        queue: list[tuple[int, int, int, int, int]] = []
-
-        def offer(i: int) -> None:
-            j = after[i]
-            if j < n and (m := self.merges.get((sym[i], sym[j]))):
-                heapq.heappush(queue, (m[0], i, sym[i], sym[j], m[1]))
-
-        for i in range(n - 1):
-            offer(i)
+        # an entry is (rank, place of the left symbol) in one integer
+        queue = [r << 32 | i for i in range(n - 1) if (r := rank_of(sym[i] << 32 | sym[i + 1])) is not None]
+        heapq.heapify(queue)
         while queue:
-            _, i, a, b, new = heapq.heappop(queue)
+            entry = heapq.heappop(queue)
+            i, rank = entry & 0xFFFFFFFF, entry >> 32
             j = after[i]
-            if sym[i] != a or j >= n or sym[j] != b:
-                continue
-            sym[i], sym[j], after[i] = new, -1, after[j]
-            if after[i] < n:
-                before[after[i]] = i
-            if before[i] >= 0:
-                offer(before[i])
-            offer(i)
+            if j >= n or rank_of(sym[i] << 32 | sym[j]) != rank:
+                continue  # stale: one of its symbols has been merged meanwhile
+            new, k, p = made[rank], after[j], before[i]
+            sym[i], sym[j], after[i] = new, -1, k
+            if k < n:
+                before[k] = i
+                if (r := rank_of(new << 32 | sym[k])) is not None:
+                    heapq.heappush(queue, r << 32 | i)
+            if p >= 0 and (r := rank_of(sym[p] << 32 | new)) is not None:
+                heapq.heappush(queue, r << 32 | p)
         return [s for s in sym if s >= 0]
 
+    def _words(self, words: list[str]) -> bytes:
+        """Ids of pre-tokens one after the other; those not met before are merged once."""
+        known = self.known
+        try:
+            return b"".join([known[w] for w in words])
+        except KeyError:
+            pass
+        new = {w: self._packed(w) for w in set(words) if w not in known}
+        keep = new if len(new) < CACHE_WORDS else dict(islice(new.items(), CACHE_WORDS))
+        keep = {w: x for w, x in keep.items() if len(w) <= CACHE_CHARS}
+        if len(known) + len(keep) <= CACHE_WORDS and len(keep) == len(new):
+            known.update(keep)
+            return b"".join([known[w] for w in words])
+        out = b"".join([known[w] if w in known else new[w] for w in words])
+        if len(known) + len(keep) > CACHE_WORDS:
+            known.clear()
+        known.update(keep)
+        return out
+
+    def _packed(self, word: str) -> bytes:
+        ids = self.merge(word.encode("utf-8", "replace"))
+        return struct.pack(f"<{len(ids)}I", *ids)
+
     def encode(self, text: str | None) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
         if self.added is None or self.added.search(text) is None:
-            return b"".join(map(self.known.__getitem__, self.split.findall(text)))
+            return self._words(self.split.findall(text))
         out = []
         for part in self.added.split(text):
             if part in self.added_ids:
                 out.append(np.uint32(self.added_ids[part]).tobytes())
             elif part:
-                out += map(self.known.__getitem__, self.split.findall(part))
+                out.append(self._words(self.split.findall(part)))
         return b"".join(out)
 
     def decode(self, ids: bytes) -> bytes:
-        return b"".join(map(self.strings.__getitem__, np.frombuffer(ids, "<u4").tolist()))
-
-
-class _Known(dict):
-    """Encodings by pre-token."""
-
-    def __init__(self, codec: Codec):
-        super().__init__()
-        self.codec = codec
-
-    def __missing__(self, word: str) -> bytes:
-        ids = np.array(self.codec.merge(word.encode("utf-8", "replace")), "<u4").tobytes()
-        if len(word) <= CACHE_CHARS:
-            if len(self) >= CACHE_WORDS:
-                self.clear()
-            self[word] = ids
-        return ids
+        strings = self.strings
+        return b"".join([strings[i] for i in np.frombuffer(ids, "<u4").tolist()])
 
 
 def codec(spec: str) -> Codec:
@@ -170,10 +183,28 @@ def decode(encoded: DataFrame, vocabulary: str) -> DataFrame:
             .mapInArrow(lambda it: _decode(it, spec, rest), f"{kinds}, text string" if kinds else "text string"))
 
 
+def _both_ways(batches, spec):
+    tool = codec(spec.value)
+    for b in batches:
+        n, ids_sha, text_sha = [], [], []
+        for t in b.column("text"):
+            ids = tool.encode(t.as_py())
+            text = tool.decode(ids).decode("utf-8", "replace")
+            n.append(len(ids) // 4)
+            ids_sha.append(hashlib.sha256(ids).hexdigest())
+            text_sha.append(hashlib.sha256(text.encode()).hexdigest())
+        yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())],
+                                         ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+
 def round_trip(docs: DataFrame, vocabulary: str) -> DataFrame:
-    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: both directions over whole texts."""
+    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: both directions over whole texts.
+
+    One worker does both, so that ids don't travel and a task holds one codec.
+    """
     spark = docs.sparkSession
     ship(spark)
-    enc = encode(docs, vocabulary).withColumn("ids_sha256", F.sha2("ids", 256))
-    return (decode(enc, vocabulary)
-            .select("doc_id", "n_tokens", "ids_sha256", F.sha2(F.col("text").cast("binary"), 256).alias("decoded_sha256")))
+    with open(vocabulary, encoding="utf-8") as f:
+        spec = spark.sparkContext.broadcast(f.read())
+    return (docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+            .mapInArrow(lambda it: _both_ways(it, spec), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"))
