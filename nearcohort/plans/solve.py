@@ -64,6 +64,7 @@ class _Job:
     steps: DataFrame = None
     spatial: str = "none"
     cells: DataFrame = None
+    grid: dict = None
     log: list = field(default_factory=list)
 
     def only(self, qids: list[int]) -> _Job:
@@ -286,8 +287,9 @@ def _probe(job: _Job, at: DataFrame) -> DataFrame:
         return job.ledger.join(F.broadcast(at), "qid").where("ed <= r").select("qid", "step", "src", "dst", "c")
     # by the spatial index: cells that touch a circle, exact distances, induced edges
     if job.cells is None:
-        job.cells = job.work.save(cell_index(job.graph.vertices.select("id", "x", "y"), **_grid(job)), "cells")
-    near = in_range(job.cells, at.join(job.queries.select("qid", "qx", "qy"), "qid"), metric=job.cons.metric, keys=("qid", "step"), **_grid(job))
+        job.grid = _grid(job)
+        job.cells = job.work.save(cell_index(job.graph.vertices.select("id", "x", "y"), **job.grid), "cells")
+    near = in_range(job.cells, at.join(job.queries.select("qid", "qx", "qy"), "qid"), metric=job.cons.metric, keys=("qid", "step"), **job.grid)
     ids = job.work.save(near.join(job.held.select("qid", "id"), ["qid", "id"], "left_semi").select("qid", "step", "id"), "in-range")
     edges = job.pruned.select("qid", "src", "dst", "c").join(F.broadcast(at.select("qid", "step")), "qid")
     return induce(edges, ids, ["qid", "step"])

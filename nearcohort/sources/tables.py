@@ -39,6 +39,11 @@ def write_groups(groups: DataFrame, path: str, graph: str, fmt: str = "parquet")
     (w.option("header", True) if fmt == "csv" else w).save(path)
 
 
+def write_rounds(rounds: DataFrame, path: str, graph: str, method: str) -> None:
+    """The log of tested radii, partitioned by graph and method, appended to that of other runs."""
+    (rounds.withColumns({"graph": F.lit(graph), "method": F.lit(method)}).write.mode("append").partitionBy("graph", "method").parquet(path))
+
+
 def write_bucketed(edges: DataFrame, name: str, buckets: int = 16) -> None:
     """A table bucketed by src: repeated joins on it need no exchange of the edges."""
     edges.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "dst").saveAsTable(name)

@@ -44,6 +44,75 @@ def test_solvers_equal_sql(spark, buyers, truth, method, options):
     assert got == sorted(tuple(t[:4]) for t in truth) and len(got) == 19 and got[0][1] == 47.633341
 
 
+@pytest.mark.parametrize("method,options", [
+    ("nearest_insert", {}), ("farthest_peel", {})])
+def test_nothing_is_held_in_one_task(spark, buyers, truth, method, options):
+    r = solve(buyers, make_queries(spark, [Q3]), method, engine="rounds", kernel_edges=0, **options)
+    assert rows(r.groups) == sorted(tuple(t[:4]) for t in truth)
+    assert r.plan["method"] == method and r.plan["engine"] == "rounds"
+
+
+def test_each_query_has_its_engine(spark, buyers):
+    qs = make_queries(spark, [Q3, (2, 10.0, 20.0, ["BUILDING"], 1, 3), (3, 0.0, 0.0, ["NONE"], 1, 3)])
+    whole = solve(buyers, qs)
+    size = {r["qid"]: r["count"] for r in whole.pruned.groupBy("qid").count().collect()}
+    assert size[1] < size[2]
+    split = solve(buyers, qs, "radius_bisect", kernel_edges=size[1])
+    assert split.plan["engine"] == "both" and rows(split.groups) == rows(whole.groups) and whole.plan["engine"] == "kernel"
+    assert {r["qid"] for r in split.rounds.collect()} == {1, 2}
+
+
+def test_rules_of_the_callers_own(spark, buyers):
+    class Few:
+        """At most the edges between ids that differ by less than 60, and three members at least."""
+
+        def peel(self, edges):
+            return {e for e in edges if abs(e[0] - e[1]) < 60}
+
+        def accept(self, members):
+            return len(members) >= 3
+
+    qs = make_queries(spark, [(1, 50.0, 50.0, ["BUILDING"], 1, 3)])
+    cons = Constraints(rules=(Few(),))
+    got = [rows(solve(buyers, qs, m, constraints=cons).groups) for m in ("two_phase", "radius_bisect")]
+    assert got[0] == got[1] and got[0]
+    near = Graph(buyers.vertices, buyers.edges.where("dst - src < 60"))
+    assert got[0] == rows(solve(near, qs).groups)
+    for options in ({"engine": "rounds"}, {"kernel_edges": 0}):
+        with pytest.raises(ValueError):
+            solve(buyers, qs, constraints=cons, **options)
+
+
+def test_trussness_has_no_greatest_level(spark):
+    e = spark.createDataFrame([(i, j) for i in range(6) for j in range(i + 1, 6)] + [(5, 6), (5, 7), (6, 7), (7, 8)], "src long, dst long")
+    for kernel_edges in (0, 1000):
+        got = {(r["src"], r["dst"]): r["truss"] for r in truss_decompose(e, kernel_edges=kernel_edges).collect()}
+        assert len(got) == 19 and got[0, 1] == 6 and got[6, 7] == 3 and got[7, 8] == 2
+    assert truss_decompose(e.limit(0), kernel_edges=0).isEmpty()
+
+
+def test_vocabulary_takes_every_keyword(spark):
+    v = spark.range(1500).select("id", F.concat(F.lit("k"), "id").alias("kw"), F.lit(0.0).alias("x"), F.lit(0.0).alias("y"))
+    assert len(workloads.vocabulary(Graph(v, spark.createDataFrame([], "src long, dst long")))) == 1500
+
+
+def test_aggregate_objective_against_every_level(spark, buyers):
+    qs = make_queries(spark, [(1, 50.0, 50.0, [], 0, 2)])
+    far = max(((r["x"] - 50) ** 2 + (r["y"] - 50) ** 2) ** 0.5 for r in buyers.vertices.collect())
+    d = {c: solve(buyers, make_queries(spark, [(1, 50.0, 50.0, [], 0, c)])).groups.first()["d"] for c in (2, 3, 4, 5)}
+    for w in (0.1, 0.9):
+        got = comparators.aggregate_group(buyers, qs, w).first()
+        cost = {c: w * x / far - (1 - w) * c / 5 for c, x in d.items()}
+        best = min(cost, key=cost.get)
+        assert got["c"] == best and got["d"] == d[best] and got["cost"] == pytest.approx(cost[best], abs=1e-5)
+
+
+def test_spark_measures_count_what_ran(spark):
+    m = metrics.spark_measures(spark, lambda: spark.range(1000).repartition(3, "id").groupBy("id").count().count())
+    assert m["jobs"] >= 1 and m["tasks"] >= 1 and m["shuffle_bytes"] > 0 and m["seconds"] > 0
+    assert metrics.time_runs(lambda: None, 3, warm=1)["runs"] == 3
+
+
 def test_no_answer_and_absent_keyword(spark, buyers):
     assert solve(buyers, make_queries(spark, [(1, 50.0, 50.0, ["NONE"], 1, 3)])).groups.isEmpty()
     assert solve(buyers, make_queries(spark, [(1, 50.0, 50.0, ["NONE"], 1, 3)]), engine="rounds").groups.isEmpty()
@@ -88,6 +157,15 @@ def test_truss_rounds_equal_kernel(spark, buyers):
     assert dict(map(tuple, truss_decompose(buyers.edges, kernel_edges=0).groupBy("truss").count().collect())) == {2: 155, 3: 494, 4: 328, 5: 20}
 
 
+def test_nuclei_of_other_orders(spark):
+    from itertools import combinations
+
+    e = spark.createDataFrame([(a, b, 1) for a, b in combinations(range(5), 2)] + [(4, 5, 1), (3, 5, 1), (2, 5, 1), (5, 6, 1)], "src long, dst long, need int")
+    for r, s, n in ((2, 3, 13), (2, 4, 13), (3, 5, 10), (2, 5, 10)):
+        for limit in (0, 1000):
+            assert nucleus_peel(e, [], r=r, s=s, kernel_edges=limit).count() == n, (r, s, limit)
+
+
 def test_nucleus_of_a_clique(spark):
     clique = [(a, b, 1) for a in range(4) for b in range(a + 1, 4)] + [(3, 4, 1), (3, 5, 1), (4, 5, 1)]
     e = spark.createDataFrame(clique, "src long, dst long, need int")
@@ -119,13 +197,16 @@ def test_measures_and_comparators(spark, buyers):
     p = metrics.pruning_ratios(buyers, res).first().asDict()
     assert all(0 < p[k] <= 1 for k in ("h_g", "dh_h", "p_dh", "c_p"))
     assert metrics.round_bounds(res, 2.0).where("not ok").isEmpty()
+    cost = metrics.stage_cost(solve(buyers, qs, seed="none", check="full"), 2.0)
+    assert cost.where("not ok or factor > bound").isEmpty() and cost.count() == 1
     t = metrics.team_report(res).first()
     assert t["size"] == 19 and t["edges"] == 45 and t["mean_support"] >= 2
     assert comparators.nearest_by_role(buyers, qs).count() == 6
     assert not comparators.social_only(buyers, qs).groups.isEmpty()
     six = comparators.fixed_size_group(buyers, make_queries(spark, [(1, 50.0, 50.0, [], 0, 3)]), 3).collect()
     assert six and all(r["reached"] == (len(six) == 3) for r in six)
-    assert "engine" in explain.explain_strategy(buyers, qs)
+    assert "query 1: 348 edges after pruning; one task" in explain.explain_strategy(buyers, qs)
+    assert "distributed rounds" in explain.explain_strategy(buyers, qs, 100)
     assert workloads.random_queries(spark, 5, ["a", "b", "c", "d"], 3, 1, 4).count() == 5
     m = spark.createDataFrame([(1, "a"), (1, "b")], "qid long, kw string").withColumn("comp", F.lit(1))
     q = make_queries(spark, [(1, 0.0, 0.0, ["a"], 1, 3)])
@@ -161,7 +242,18 @@ def test_text_sources(spark, tmp_path):
 
 
 def test_sinks(spark, buyers, tmp_path):
-    g = solve(buyers, make_queries(spark, [Q3])).groups
+    res = solve(buyers, make_queries(spark, [Q3]))
+    g = res.groups
+    for method in ("two_phase", "other"):
+        tables.write_rounds(res.rounds, str(tmp_path / "rounds"), "buyers", method)
+    back = spark.read.parquet(str(tmp_path / "rounds"))
+    assert back.count() == 2 * res.rounds.count() and {r["method"] for r in back.select("method").distinct().collect()} == {"two_phase", "other"}
+    name = f"edges_{os.getpid()}"
+    spark.sql(f"DROP TABLE IF EXISTS {name}")
+    tables.write_bucketed(buyers.edges, name, 4)
+    both = spark.table(name).groupBy("src").count()
+    assert "Exchange" not in both._jdf.queryExecution().executedPlan().toString() and spark.table(name).count() == 997
+    spark.sql(f"DROP TABLE {name}")
     for fmt in ("parquet", "json", "csv"):
         tables.write_groups(g, str(tmp_path / fmt), "buyers", fmt)
         r = spark.read.format(fmt)
