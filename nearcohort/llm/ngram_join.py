@@ -11,16 +11,18 @@ text has to be searched in; the *long* ones never leave their text.
    only sets the order of a text's lists and cannot change the result.
 2. Texts with equal sets become one class, so copies are never paired.
 3. The short lists are the postings ``(shingle, class)``.  Lists of one class are dropped.
-4. Leaders: a class visits a few of the leaders of its lists and length bands, in two rounds.
-   That is linear in the classes, also for a group of thousands of near copies, and unites
-   nearly all that links.
+4. Leaders: a class visits a few of the leaders of its lists and length bands, round by round
+   as long as a round finds links for a hundredth of the classes whose lists are still divided.
+   A round is linear in the classes, also for a group of thousands of near copies, and together
+   they unite nearly all that links.
 5. Visits that share too few short lists to reach the overlap are dropped.
 6. A leader and the classes that visit it form blocks of bounded size; the texts of a block
    travel once each.  In a block ``TOccurrence`` answers the leader's query by divide and
    skip: its shorter lists are merged in a heap that skips ahead, its longest lists are probed
    by binary search, and what reaches the overlap is compared on the words themselves.
 7. Components; then the *rest*: classes that share a list but are still in different
-   components are all searched, so no link between different components is lost.
+   components are all searched, so no link between different components is lost.  Such a pair
+   is met once, on the first list that both have, and only if all their short lists allow a link.
 8. Components again.
 
 ``jaccard_links`` searches all pairs of classes that share a list and reports every link;
@@ -48,8 +50,12 @@ from nearcohort.plans.runtime import Workspace, ship, small
 
 #: Entries of the table of frequent shingles: at most 16 MB, whatever the corpus.
 MAX_FREQUENT = 1_000_000
-#: Leaders that a class meets in each round; the rest is compared in full afterwards.
-LEADER_ROUNDS = (2, 4)
+#: Leaders that a class meets in the first rounds and in all later ones; the rest is compared in
+#: full afterwards, so neither these nor the number of rounds can change the result.
+LEADER_TAKES = (2, 4, 8)
+MAX_ROUNDS = 12
+#: Another round follows one that found links for this share of the classes of divided lists.
+ROUND_YIELD = 0.01
 #: Classes of one block beside its leader, and bytes of text that a task indexes at once.
 BLOCK_CLASSES = 256
 BLOCK_TEXT = 1 << 20
@@ -382,33 +388,43 @@ def _index(rows: DataFrame, work: Workspace, k: int, pct: int) -> tuple[DataFram
 
 
 def _lists(live: DataFrame) -> DataFrame:
-    """The shared short lists of each class: never more than its own short part."""
-    return live.groupBy("c").agg(F.first("n").alias("n"), F.collect_set("h").alias("hs"))
+    """The shared short lists of each class, in the order of all sets: never more than its own short part."""
+    own = F.transform(F.array_sort(F.collect_list(F.struct("pos", "h"))), lambda x: x["h"])
+    return live.groupBy("c").agg(F.first("n").alias("n"), own.alias("hs"))
 
 
-def _meetings(placed: DataFrame, pct: int) -> DataFrame:
-    """All pairs of classes of different components that share a list where they can link."""
-    sides = [placed.select("h", F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("band").alias(f"band_{x}"),
-                           F.col("pos").alias(f"pos_{x}"), F.col("comp").alias(f"comp_{x}")) for x in "ab"]
-    return (sides[0].join(sides[1], "h").where("a > b and comp_a <> comp_b and abs(band_a - band_b) <= 1")
-            .where(_fits(pct)).select("a", "b").distinct())
+def _meetings(placed: DataFrame, lists: DataFrame, pct: int) -> DataFrame:
+    """All pairs of classes of different components that can link, each once.
+
+    A pair meets on the first list that both have.  Whatever they share lies at or behind it, and
+    they must share enough of their short lists.
+    """
+    wide = placed.join(lists.select("c", "hs"), "c")
+    sides = [wide.select("h", F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("band").alias(f"band_{x}"),
+                         F.col("pos").alias(f"pos_{x}"), F.col("comp").alias(f"comp_{x}"), F.col("hs").alias(f"hs_{x}")) for x in "ab"]
+    common = F.array_intersect("hs_a", "hs_b")
+    near = F.expr("a > b and comp_a <> comp_b and abs(band_a - band_b) <= 1") & F.expr(_fits(pct))
+    met = sides[0].join(sides[1], (sides[0]["h"] == sides[1]["h"]) & near & (F.element_at(common, 1) == sides[0]["h"]) & _chance(F.size(common), pct))
+    return met.select("a", "b")
 
 
 def _components(rows: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame:
     """``row, n, class, comp``: least rows of a row's class and of its component."""
     member, live = _index(rows, work, k, pct)
-    lists = _lists(live)
-    links = comp = None
-    for number, take in enumerate(LEADER_ROUNDS):
-        pairs = work.save(_promising(_leader_pairs(_placed(live, comp), number, take, pct), lists, pct), "leader-pairs")
+    lists = work.save(_lists(live), "lists")
+    links, placed = None, _placed(live, None)
+    for number in range(MAX_ROUNDS):
+        take = LEADER_TAKES[min(number, len(LEADER_TAKES) - 1)]
+        pairs = work.save(_promising(_leader_pairs(placed, number, take, pct), lists, pct), "leader-pairs")
         found = _linked(pairs, rows, work, k, pct)
         links = found if links is None else links.unionByName(found)
         comp = work.save(components(links, src="a", dst="b", work=work), "components")
-    placed = _placed(live, comp)
-    split = placed.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
-    open_ = work.save(placed.join(split, "h"), "open-lists")
-    rest = work.save(_meetings(open_, pct), "rest-pairs")
-    rest = work.save(_promising(rest, lists, pct), "promising-pairs")
+        placed = _placed(live, comp)
+        split = placed.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
+        placed = work.save(placed.join(split, "h"), "open-lists")
+        if found.count() <= ROUND_YIELD * placed.select("c").distinct().count():
+            break
+    rest = work.save(_meetings(placed, lists, pct), "rest-pairs")
     more = _linked(rest, rows, work, k, pct)
     comp = work.save(components(links.unionByName(more), src="a", dst="b", work=work), "components")
     return (member.join(comp.withColumnRenamed("id", "class"), "class", "left")
@@ -456,7 +472,7 @@ def jaccard_links(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace |
         raise ValueError("links need a unique doc_id")
     rows = keyed.select(F.col(key).alias("row"), "text")
     member, live = _index(rows, work, k, pct)
-    pairs = work.save(_promising(_meetings(_placed(live, None), pct), _lists(live), pct), "pairs")
+    pairs = work.save(_meetings(_placed(live, None), work.save(_lists(live), "lists"), pct), "pairs")
     return _linked(pairs, rows, work, k, pct), member.select(
         F.col("row").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("class").alias("class_id"))
 
