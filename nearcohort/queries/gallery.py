@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -9,7 +10,7 @@ from nearcohort.functions import geo, udfs
 from nearcohort.model import make_queries
 from nearcohort.operators.truss import read_truss_index, truss_decompose, write_truss_index
 from nearcohort.plans.runtime import Workspace
-from nearcohort.plans.solve import solve, spanning_forest
+from nearcohort.plans.solve import solve
 from nearcohort.queries.searches import Q1
 from nearcohort.queries.sqlgen import edges_sql, peel_cte, search_sql, vertices_sql
 from nearcohort.sources.graphs import load
@@ -292,16 +293,36 @@ def session_batch(s, d):
 @add("recursive_components", f"WITH RECURSIVE g AS ({edges_sql('vectors')}), e AS (SELECT src, dst FROM g UNION SELECT dst, src FROM g), "
      "r(id, c) AS (SELECT src, src FROM e UNION SELECT e.dst, r.c FROM r JOIN e ON e.src = r.id WHERE r.c < e.dst) SELECT id, min(c) AS comp FROM r GROUP BY id")
 def recursive_components(s, d):
-    """Components of a small graph by a recursive query in Spark SQL.
+    """Components of a graph by recursive queries in Spark SQL, see ``recursive_labels``."""
+    return recursive_labels(load(s, d, "vectors").edges, Workspace(s, "recursive"))
 
-    The recursion walks a spanning forest, where no walk without turning back repeats.
+
+def recursive_labels(edges: DataFrame, work: Workspace) -> DataFrame:
+    """(id, comp) of every vertex of ``edges`` (src, dst): the least vertex that it can reach.
+
+    Every vertex hangs below its neighbour of least hash, if that is less than its own.  Hashes fall
+    along these links, so they are a forest, and a recursion from its roots meets each vertex once:
+    as many rows as vertices, at the depth of a falling chain.  The trees are contracted until no edge
+    is left between two; in two steps every root with such an edge hangs below another.
     """
-    e = load(s, d, "vectors").edges.select(F.lit(1).cast("long").alias("qid"), "src", "dst", F.lit(0.0).alias("ed"))
-    spanning_forest(e, Workspace(s, "forest")).createOrReplaceTempView("nearcohort_forest")
-    return s.sql("""WITH RECURSIVE e AS (SELECT src, dst FROM nearcohort_forest UNION ALL SELECT dst, src FROM nearcohort_forest),
-      r(id, c, came) AS (SELECT DISTINCT src, src, CAST(-1 AS BIGINT) FROM e
-        UNION ALL SELECT e.dst, r.c, r.id FROM r JOIN e ON e.src = r.id WHERE e.dst <> r.came)
-      SELECT id, min(c) AS comp FROM r GROUP BY id""")
+    s = edges.sparkSession
+    left = work.save(edges.select("src", "dst").where("src <> dst"), "edges")
+    label = work.save(left.select(F.explode(F.array("src", "dst")).alias("id")).distinct().withColumn("tree", F.col("id")), "labels")
+    rank = lambda c: F.struct(F.xxhash64(c).alias("h"), F.col(c).alias("id"))
+    while not left.isEmpty():
+        both = left.unionByName(left.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+        near = both.groupBy("src").agg(F.min(rank("dst")).alias("low"))
+        links = work.save(near.select(F.col("src").alias("id"), F.when(F.col("low") < rank("src"), F.col("low.id")).alias("up")), "links")
+        tree = work.save(s.sql("""WITH RECURSIVE r(id, tree) MAX RECURSION LEVEL 1000000 AS (
+            SELECT id, id FROM {links} WHERE up IS NULL
+            UNION ALL SELECT l.id, r.tree FROM r JOIN {links} l ON l.up = r.id)
+          SELECT id, tree FROM r LIMIT ALL""", links=links), "trees")
+        root = lambda c: tree.select(F.col("id").alias(c), F.col("tree").alias(f"{c}_root"))  # noqa: E731, B023
+        label = work.save(label.join(root("tree"), "tree", "left").select("id", F.coalesce("tree_root", "tree").alias("tree")), "labels")
+        ends = left.join(root("src"), "src").join(root("dst"), "dst").where("src_root <> dst_root")
+        left = work.save(ends.select(F.least("src_root", "dst_root").alias("src"), F.greatest("src_root", "dst_root").alias("dst")).distinct(), "edges")
+    least = label.groupBy("tree").agg(F.min("id").alias("comp"))
+    return label.join(least, "tree").select("id", "comp")
 
 
 _SETS = "[p_type, p_brand] AS a, ['PROMO', 'LARGE', p_brand] AS b"
