@@ -10,9 +10,10 @@ text has to be searched in; the *long* ones never leave their text.
 1. ``frequent_shingles`` counts in all texts; a bounded table of heavy counts is kept.  It
    only sets the order of a text's lists and cannot change the result.
 2. Texts with equal sets become one class, so copies are never paired.
-3. The short lists are the postings ``(shingle, class)``.  Lists of one class are dropped.
+3. The short lists are the postings ``(shingle, class)``.  Lists of one class are dropped, and so
+   are postings that by size and place cannot be the first that a linked pair shares.
 4. Leaders: a class visits a few of the leaders of its lists and length bands, round by round
-   as long as a round finds links for a hundredth of the classes whose lists are still divided.
+   as long as a round finds links for a hundredth of the classes that share a list.
    A round is linear in the classes, also for a group of thousands of near copies, and together
    they unite nearly all that links.
 5. Visits that share too few short lists to reach the overlap are dropped.
@@ -54,7 +55,7 @@ MAX_FREQUENT = 1_000_000
 #: full afterwards, so neither these nor the number of rounds can change the result.
 LEADER_TAKES = (2, 4, 8)
 MAX_ROUNDS = 12
-#: Another round follows one that found links for this share of the classes of divided lists.
+#: Another round follows one that found links for this share of the classes that share a list.
 ROUND_YIELD = 0.01
 #: Classes of one block beside its leader, and bytes of text that a task indexes at once.
 BLOCK_CLASSES = 256
@@ -354,6 +355,21 @@ def _placed(live: DataFrame, comp: DataFrame | None) -> DataFrame:
             .withColumn("comp", F.coalesce("comp", "c")))
 
 
+def _may_meet(placed: DataFrame, pct: int) -> DataFrame:
+    """Postings whose list may hold the first shingle that a class shares with a linked one of another component.
+
+    Each list tells its least size and farthest reach by bands of length; what no size and place there
+    fits (see ``_fits``) is dropped.  A pair that links keeps both postings of its first common list.
+    """
+    reach = 100 * F.col("n") - (100 + pct) * F.col("pos")
+    bands = placed.groupBy("h", "band").agg(F.min("n").alias("least"), F.max(reach).alias("reach"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    lists = bands.groupBy("h").agg(F.collect_list(F.struct("band", "least", "reach", "lo", "hi")).alias("there"))
+    lists = lists.where("size(there) > 1 or there[0].lo < there[0].hi")
+    fits = F.expr(f"exists(there, x -> abs(x.band - band) <= 1 and (x.lo <> comp or x.hi <> comp) and x.reach >= {pct} * n - 1 "
+                  f"and pos <= n - ceil({pct} * (n + x.least) / {100 + pct} - 1e-9))")
+    return placed.join(lists, "h").where(fits).drop("there")
+
+
 def _leader_pairs(placed: DataFrame, number: int, take: int, pct: int) -> DataFrame:
     """Each class (a) with the ``take`` leaders (b) of other components that lead most of its lists.
 
@@ -370,8 +386,9 @@ def _leader_pairs(placed: DataFrame, number: int, take: int, pct: int) -> DataFr
     return few.select("a", F.explode("f.b").alias("b"))
 
 
-def _index(rows: DataFrame, work: Workspace, k: int, pct: int) -> tuple[DataFrame, DataFrame]:
-    """(members, live): every row's size and class; postings of the shared short lists of the classes."""
+def _index(rows: DataFrame, work: Workspace, k: int, pct: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(members, lists, live): every row's size and class; the shared short lists of each class; their postings
+    that may be the first of a linked pair."""
     sc = rows.sparkSession.sparkContext
     hot, counts = (sc.broadcast(x) for x in frequent_shingles(rows, k))
     sigs = work.save(rows.mapInArrow(lambda it: _signatures(it, k, pct, hot, counts), SIGNATURES), "signatures")
@@ -379,12 +396,15 @@ def _index(rows: DataFrame, work: Workspace, k: int, pct: int) -> tuple[DataFram
     copies = member.where("row <> class").select("row")
     posts = (sigs.join(small(copies, copies.count()), "row", "left_anti")
              .select(F.posexplode("pre").alias("pos", "h"), F.col("row").alias("c"), "n"))
-    shared = posts.groupBy("h").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("h")
+    shared = posts.groupBy("h").agg(F.count("*").alias("k")).where("k > 1").select("h")  # a class is on a list once
     # bands of length: linked sets lie in the same band or in neighbouring ones
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / pct)) + 1e-9)
     live = work.save(posts.join(shared, "h").withColumn("band", band), "short-lists")
     work.drop(sigs)
-    return member, live
+    lists = work.save(_lists(live), "lists")
+    near = work.save(_may_meet(_placed(live, None), pct).drop("comp"), "near-lists")
+    work.drop(live)
+    return member, lists, near
 
 
 def _lists(live: DataFrame) -> DataFrame:
@@ -397,21 +417,27 @@ def _meetings(placed: DataFrame, lists: DataFrame, pct: int) -> DataFrame:
     """All pairs of classes of different components that can link, each once.
 
     A pair meets on the first list that both have.  Whatever they share lies at or behind it, and
-    they must share enough of their short lists.
+    they must share enough of their short lists.  A posting carries the lists before its own whole,
+    as these tell whether a pair has met, and those from its own on in 16 bits: equal ones can only
+    make two texts seem to share more, but for ``lost``, those of one text that fall together.
     """
-    wide = placed.join(lists.select("c", "hs"), "c")
-    sides = [wide.select("h", F.col("c").alias(x), F.col("n").alias(f"n_{x}"), F.col("band").alias(f"band_{x}"),
-                         F.col("pos").alias(f"pos_{x}"), F.col("comp").alias(f"comp_{x}"), F.col("hs").alias(f"hs_{x}")) for x in "ab"]
-    common = F.array_intersect("hs_a", "hs_b")
+    at = F.array_position("hs", F.col("h")).cast("int")
+    tail = F.slice("hs", at, F.size("hs"))
+    wide = placed.join(lists.select("c", "hs"), "c").select(
+        "h", "c", "n", "band", "pos", "comp", F.slice("hs", 1, at - 1).alias("head"), (F.size("hs") - at + 1).alias("many"),
+        F.array_distinct(F.transform(tail, lambda x: (x.bitwiseAND(F.lit(65535)) - 32768).cast("short"))).alias("tail"))
+    wide = wide.withColumn("lost", F.col("many") - F.size("tail"))
+    sides = [wide.select("h", *[F.col(x).alias(f"{x}_{side}") for x in ("n", "band", "pos", "comp", "head", "tail", "lost")], F.col("c").alias(side)) for side in "ab"]
     near = F.expr("a > b and comp_a <> comp_b and abs(band_a - band_b) <= 1") & F.expr(_fits(pct))
-    met = sides[0].join(sides[1], (sides[0]["h"] == sides[1]["h"]) & near & (F.element_at(common, 1) == sides[0]["h"]) & _chance(F.size(common), pct))
+    common = F.size(F.array_intersect("tail_a", "tail_b")) + F.least("lost_a", "lost_b")
+    met = sides[0].join(sides[1], (sides[0]["h"] == sides[1]["h"]) & near & ~F.arrays_overlap("head_a", "head_b") & _chance(common, pct))
     return met.select("a", "b")
 
 
 def _components(rows: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame:
     """``row, n, class, comp``: least rows of a row's class and of its component."""
-    member, live = _index(rows, work, k, pct)
-    lists = work.save(_lists(live), "lists")
+    member, lists, live = _index(rows, work, k, pct)
+    classes = lists.count()
     links, placed = None, _placed(live, None)
     for number in range(MAX_ROUNDS):
         take = LEADER_TAKES[min(number, len(LEADER_TAKES) - 1)]
@@ -419,10 +445,8 @@ def _components(rows: DataFrame, work: Workspace, k: int, pct: int) -> DataFrame
         found = _linked(pairs, rows, work, k, pct)
         links = found if links is None else links.unionByName(found)
         comp = work.save(components(links, src="a", dst="b", work=work), "components")
-        placed = _placed(live, comp)
-        split = placed.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
-        placed = work.save(placed.join(split, "h"), "open-lists")
-        if found.count() <= ROUND_YIELD * placed.select("c").distinct().count():
+        placed = work.save(_may_meet(_placed(live, comp), pct), "open-lists")
+        if found.count() <= ROUND_YIELD * classes:
             break
     rest = work.save(_meetings(placed, lists, pct), "rest-pairs")
     more = _linked(rest, rows, work, k, pct)
@@ -471,8 +495,8 @@ def jaccard_links(docs: DataFrame, k: int = 5, pct: int = 80, work: Workspace |
     if not unique:
         raise ValueError("links need a unique doc_id")
     rows = keyed.select(F.col(key).alias("row"), "text")
-    member, live = _index(rows, work, k, pct)
-    pairs = work.save(_meetings(_placed(live, None), work.save(_lists(live), "lists"), pct), "pairs")
+    member, lists, live = _index(rows, work, k, pct)
+    pairs = work.save(_meetings(_placed(live, None), lists, pct), "pairs")
     return _linked(pairs, rows, work, k, pct), member.select(
         F.col("row").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("class").alias("class_id"))
 

@@ -1,3 +1,4 @@
+import math
 import random
 import re
 
@@ -154,3 +155,37 @@ def test_words_are_split_at_ascii_blanks_only(spark):
     assert len(words) == 4
     got = N.jaccard_classes(spark.createDataFrame([(1, t), (2, t.replace("E", "e"))], "doc_id long, text string")).collect()
     assert {r["component_id"] for r in got} == {1}
+
+
+def _posted(spark, seed, step=1):
+    """Random sets over 60 shingles whose values are multiples of ``step``: (sets, lists, postings)."""
+    r = random.Random(seed)
+    base = [r.sample(range(60), r.randint(5, 40)) for _ in range(8)]
+    sets = {}
+    for c in range(1, 61):
+        s = set(r.choice(base)) if r.random() < 0.8 else set(r.sample(range(60), r.randint(1, 40)))
+        for _ in range(r.choice([0, 1, 2])):
+            s.add(r.randrange(60))
+        sets.setdefault(tuple(sorted(x * step for x in s)), c)
+    none = np.zeros(0, np.uint64)
+    post = [(int(h), c, len(s), i, math.floor(math.log(len(s)) / math.log(1.25) + 1e-9))
+            for s, c in sets.items() for i, h in enumerate(N.short_lists(np.array(s, np.uint64), none, none, 80))]
+    placed = N._placed(spark.createDataFrame(post, "h long, c long, n long, pos int, band long"), None)
+    linked = {(a, b) for s, a in sets.items() for t, b in sets.items() if a > b and 100 * len({*s} & {*t}) >= 80 * len({*s} | {*t})}
+    return placed, N._lists(placed), linked
+
+
+def test_pairs_meet_once_also_where_16_bits_tell_nothing(spark):
+    for seed, step in ((1, 1), (2, 1), (3, 1 << 16)):
+        placed, lists, linked = _posted(spark, seed, step)
+        near = N._may_meet(placed, 80)
+        met = [tuple(r) for r in N._meetings(near, lists, 80).collect()]
+        assert linked and linked <= set(met) and len(met) == len(set(met))
+        assert near.count() < placed.count()
+        assert set(met) == {tuple(r) for r in N._meetings(placed, lists, 80).collect()}
+
+
+def test_what_meets_carries_its_lists_in_16_bits(spark):
+    placed, lists, _ = _posted(spark, 1)
+    plan = N._meetings(N._may_meet(placed, 80), lists, 80)._jdf.queryExecution().analyzed().toString()
+    assert "smallint" in plan and "hs_a" not in plan
